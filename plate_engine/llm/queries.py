@@ -5,8 +5,13 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import packing, piece_codec, token_blocks, token_counts
-from .common import documents
+from . import packing, piece_codec, quality_rules, token_blocks, token_counts
+from .common import documents, labels
+from .quality_sql import OP1_SQL
+
+
+def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_rules.verdicts(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
 def op6_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -25,5 +30,5 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), limit=512)
 
 
-QUERIES = {f.__name__: f for f in (op6_token_blocks, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
-ORACLE_SQL: dict[str, str] = {}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op6_token_blocks, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
+ORACLE_SQL: dict[str, str] = {"op1_quality_rules": OP1_SQL}
