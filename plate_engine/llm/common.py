@@ -31,6 +31,20 @@ def fold(modulus: int, column: str = "doc_id") -> Column:
     return F.crc32(F.coalesce(F.col(column).cast("string"), F.lit("")).cast("binary")) % modulus
 
 
+def labelled_texts(docs: DataFrame, marks: DataFrame, label: str, most: int, where: Column | None = None) -> DataFrame:
+    """``h, t, y``: hash, text and label of the distinct texts of at most ``most`` labelled documents.
+
+    Documents are those of the lowest id hashes among the labelled rows that meet ``where``, so the sample is
+    a fixed one and its list of ids, bounded by ``most``, can be broadcast.  A document or text with several
+    labels has the largest.  Rows without an id or a label are left out; a null text counts as empty.
+    """
+    marks = marks.filter(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
+    marks = marks.filter(where) if where is not None else marks
+    marks = marks.groupBy("doc_id").agg(F.max(label).cast("int").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
+    found = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("t")).join(F.broadcast(marks), "doc_id")
+    return stored(found.groupBy(F.xxhash64("t").alias("h")).agg(F.min("t").alias("t"), F.max("y").alias("y")), "labelled")
+
+
 def shared_folder(spark: SparkSession) -> str:
     """The cluster's checkpoint folder; a folder of our own only where the session names none."""
     sc = spark.sparkContext

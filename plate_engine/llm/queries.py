@@ -5,8 +5,8 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import packing, piece_codec, quality_rules, token_blocks, token_counts
-from .common import documents, labels
+from . import packing, piece_codec, quality_model, quality_rules, token_blocks, token_counts, toxicity
+from .common import documents, fold, labels
 from .quality_sql import OP1_SQL
 
 
@@ -14,6 +14,17 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.verdicts(documents(spark, sf_dir), labels(spark, sf_dir))
 
 
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    found = toxicity.toxicity(docs, labels(spark, sf_dir), train=fold(3) != 1)
+    return found.withColumn("held_out", fold(3) == 1)
+
+
+def op4_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = quality_model.quality(documents(spark, sf_dir), labels(spark, sf_dir), train=fold(5) != 0)
+    return found.withColumn("held_out", fold(5) == 0)
+
+
 def op6_token_blocks(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_blocks.token_blocks(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"), end_id=1)
 
@@ -30,5 +41,5 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), limit=512)
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op6_token_blocks, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_toxicity, op4_quality_model, op6_token_blocks, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
 ORACLE_SQL: dict[str, str] = {"op1_quality_rules": OP1_SQL}
