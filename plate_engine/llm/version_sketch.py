@@ -46,7 +46,7 @@ def word_hashes(text: Column) -> Column:
 def paragraphs(words: Column, at_scale: Column) -> Column:
     """Distinct digests of the paragraphs of an array of word hashes."""
 
-    def cut(w: Column) -> Column:
+    def cut(w: Column, at_scale: Column) -> Column:
         def ends_here(i: Column) -> Column:
             pair = F.xxhash64(F.get(w, i - 1), F.get(w, i - 2))
             return (F.pmod(pair, at_scale) == 0) | (i == F.size(w))
@@ -61,7 +61,8 @@ def paragraphs(words: Column, at_scale: Column) -> Column:
         ends = F.filter(F.sequence(F.lit(1), F.size(w)), ends_here)
         return F.when(F.size(w) > 0, _let(ends, digests)).otherwise(F.array().cast("array<bigint>"))
 
-    return _let(words, cut)
+    # Both are bound once: an expression inside a lambda is evaluated for every element.
+    return _let(at_scale, lambda bound: _let(words, lambda w: cut(w, bound)))
 
 
 def _place(digest: Column, third: int, cells: int) -> Column:
