@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from . import near_dedup, packing, piece_codec, quality_model, quality_rules, token_blocks, token_counts, toxicity, version_sketch
+from . import katz, near_dedup, packing, piece_codec, quality_model, quality_rules, token_blocks, token_counts, toxicity, version_sketch
 from .common import documents, fold, labels
 from .quality_sql import OP1_SQL
 
@@ -20,6 +20,11 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.withColumn("held_out", fold(3) == 1)
 
 
+def op3_katz(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = katz.katz_scores(documents(spark, sf_dir), train=fold(7) != 2)
+    return found.withColumn("held_out", fold(7) == 2)
+
+
 def op4_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = quality_model.quality(documents(spark, sf_dir), labels(spark, sf_dir), train=fold(5) != 0)
     return found.withColumn("held_out", fold(5) == 0)
@@ -49,5 +54,5 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.token_counts(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), limit=512)
 
 
-QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_toxicity, op4_quality_model, op5_bagminhash, op6_token_blocks, op7_version_sketch, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
+QUERIES = {f.__name__: f for f in (op1_quality_rules, op2_toxicity, op3_katz, op4_quality_model, op5_bagminhash, op6_token_blocks, op7_version_sketch, op8_best_fit_packing, op9_sentencepiece, op10_token_counts)}
 ORACLE_SQL: dict[str, str] = {"op1_quality_rules": OP1_SQL}
