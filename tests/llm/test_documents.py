@@ -204,10 +204,10 @@ def test_signatures_are_unbiased():
     assert 0.6 < np.mean(np.square(gaps)) / np.mean(spread) < 1.6
 
 
-@pytest.mark.parametrize("turns", [3, 0])
-def test_classes_equal_brute_force(spark, awkward, monkeypatch, turns):
-    """With no leader turns all links come from the rarest-run search."""
-    monkeypatch.setattr(near_dedup, "STAR_TURNS", turns)
+@pytest.mark.parametrize("leaders", [3, 0])
+def test_classes_equal_brute_force(spark, awkward, monkeypatch, leaders):
+    """Without leaders all links come from the rarest-run search."""
+    monkeypatch.setattr(near_dedup, "LEADERS", leaders)
     rng = np.random.default_rng(6)
     texts = [t or "" for _, t in AWKWARD]
     passage = prose(60, rng)
