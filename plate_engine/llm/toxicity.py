@@ -26,7 +26,6 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
@@ -37,7 +36,7 @@ from .common import by_bytes, labelled_texts, ragged, text_array
 BLOCK = 64
 EPS = 0.05
 BINS = 20
-BATCH_BYTES = 16 << 20
+BATCH_BYTES = 8 << 20
 EXAMPLES = 20_000
 #: ASCII white space, control characters and punctuation become spaces, capitals lower case.
 FOLD = bytes(32 if b < 48 or 58 <= b < 65 or 91 <= b < 97 or 123 <= b < 128 else b + 32 if 65 <= b < 91 else b for b in range(256))
@@ -254,12 +253,10 @@ def keep_clean(docs: DataFrame, marks: DataFrame, threshold: float = 0.7) -> Dat
     model = fit(labelled_texts(docs, marks, "toxic", EXAMPLES))
     held = docs.sparkSession.sparkContext.broadcast(model)
 
-    @F.pandas_udf("double")
-    def score(texts: pd.Series) -> pd.Series:
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = held.value
-        if m is None:
-            return pd.Series(np.zeros(len(texts)))
-        cut = by_bytes(iter([pa.RecordBatch.from_arrays([pa.array(texts, pa.string())], ["t"])]), "t", BATCH_BYTES)
-        return pd.Series([m.calibrated(m.vote(w, v)[0]) for table in cut for w, v in m.vectors(text_array(table.column("t")))], dtype=float)
+        for table in by_bytes(batches, "text", BATCH_BYTES):
+            low = [m.calibrated(m.vote(w, v)[0]) < threshold for w, v in m.vectors(text_array(table.column("text")))] if m else [True] * table.num_rows
+            yield from table.filter(pa.array(low, pa.bool_())).to_batches()
 
-    return docs.filter(score("text") < threshold)
+    return docs.mapInArrow(keep, docs.schema)
