@@ -2,18 +2,19 @@
 
 Learning (on labelled rows only): words are lower-cased runs of characters outside white space and ASCII
 punctuation; a word gives the terms of itself and of its stems of four and five characters, since inflecting
-languages rarely repeat a whole word.  The terms that carry TF-IDF weights are those whose association with the label, over *all*
-training texts, is beyond chance for the number of words tested, and which ``support`` of the toxic texts
-hold (so a family of near copies brings in none); the strongest ``vocabulary`` of them are used.  A short
-abusive passage is then not drowned by thousands of neutral words.  At most ``examples`` labelled documents are learnt from, those of the lowest id hashes;
+languages rarely repeat a whole word.  Every term of a labelled text has a weight, whatever its label, language
+or count: TF-IDF, with document frequencies over *all* documents, times 1 + |z|, z being the signed root of the
+chi-square statistic of the term with the label over all training texts.  So a short abusive passage is not drowned
+by thousands of neutral words, which keep their TF-IDF weight.  A term that no labelled text holds can match none and is not
+weighed.  At most ``examples`` labelled documents are learnt from, those of the lowest id hashes;
 their distinct texts form the index: per term, postings in blocks of 64, each block with its largest weight.
 
 Scoring: a text's vector is matched against the index and its ``neighbours`` nearest examples are found
-exactly.  Words are taken by falling upper bound; once the words left can't lift a new example over the
+exactly.  Words are taken by falling upper bound, some shares of their postings at a time; once the words left can't lift a new example over the
 current k-th score only known candidates are completed, and blocks that can't lift one of them are skipped.  Equal scores
 go to the lower example number.  Their labels vote with weight 1 / (distance + eps); the vote, binned
-and made monotone by pooling on leave-one-out votes of the examples, is the score.  A text without a word of the
-vocabulary has no neighbours and gets the rate of such examples.
+and made monotone by pooling on leave-one-out votes of the examples, is the score.  A text without a term of the
+examples has no neighbours and gets the rate of such examples.
 
 Defined cases: a null text counts as empty (no neighbours); ties as above; repeated rows are scored each;
 one text with both labels counts as toxic; with no labelled rows every score is 0; other columns are ignored.
@@ -21,13 +22,13 @@ one text with both labels counts as toxic; with no labelled rows every score is
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -38,6 +39,8 @@ EPS = 0.05
 BINS = 20
 BATCH_BYTES = 8 << 20
 EXAMPLES = 20_000
+#: Shares of a text's postings after which the search looks whether it can stop.
+LOOKS = (0.1, 0.4)
 #: ASCII white space, control characters and punctuation become spaces, capitals lower case.
 FOLD = bytes(32 if b < 48 or 58 <= b < 65 or 91 <= b < 97 or 123 <= b < 128 else b + 32 if 65 <= b < 91 else b for b in range(256))
 
@@ -86,42 +89,56 @@ class BlockMaxIndex:
     example: np.ndarray
     weight: np.ndarray
     n_examples: int
-    block_max: list[np.ndarray] = field(default_factory=list)
+    block_starts: np.ndarray
+    block_max: np.ndarray
+    top: np.ndarray
 
     @classmethod
     def build(cls, word: np.ndarray, example: np.ndarray, weight: np.ndarray, n_words: int, n_examples: int) -> BlockMaxIndex:
         order = np.lexsort((example, word))
-        starts = np.searchsorted(word[order], np.arange(n_words + 1))
-        made = cls(starts, example[order].astype(np.int32), weight[order].astype(np.float64), n_examples)
-        for a, b in zip(starts[:-1], starts[1:], strict=True):
-            made.block_max.append(np.maximum.reduceat(made.weight[a:b], np.arange(0, b - a, BLOCK)) if b > a else np.zeros(0))
-        return made
+        starts = np.concatenate([[0], np.cumsum(np.bincount(word, minlength=n_words))]).astype(np.int64)
+        number = np.uint16 if n_examples <= 1 << 16 else np.int32
+        weight = weight[order]
+        blocks = -(-np.diff(starts) // BLOCK)
+        block_starts = np.concatenate([[0], np.cumsum(blocks)]).astype(np.int64)
+        firsts = np.repeat(starts[:-1], blocks) + BLOCK * ragged(np.zeros(n_words, np.int64), blocks)
+        block_max = np.maximum.reduceat(weight, firsts) if len(firsts) else np.zeros(0)
+        top = np.zeros(n_words)
+        top[blocks > 0] = np.maximum.reduceat(block_max, block_starts[:-1][blocks > 0]) if len(firsts) else 0.0
+        return cls(starts, example[order].astype(number), weight, n_examples, block_starts, block_max, top)
 
     def nearest(self, words: np.ndarray, weights: np.ndarray, k: int, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """The k examples of largest cosine (all positive), by (cosine desc, number), without ``skip``."""
-        tops = np.array([self.block_max[w].max() if len(self.block_max[w]) else 0.0 for w in words]) * weights
+        tops = self.top[words] * weights
         order = np.lexsort((words, -tops))
         rest = np.concatenate([np.cumsum(tops[order][::-1])[::-1], [0.0]])
+        sizes = (self.starts[words + 1] - self.starts[words])[order]
+        reach = np.cumsum(sizes)
         score = np.zeros(self.n_examples)
         known: np.ndarray | None = None
-        for rank, at in enumerate(order):
-            w, q = int(words[at]), float(weights[at])
-            a, b = int(self.starts[w]), int(self.starts[w + 1])
-            if known is None and rank:
-                seen = np.flatnonzero(score)
-                if len(seen) > k + 1:
-                    floor = np.partition(score[seen], len(seen) - k - 1)[len(seen) - k - 1]
-                    if rest[rank] < floor:  # no example unseen so far can enter
-                        known = seen
-            if known is None:
-                score[self.example[a:b]] += q * self.weight[a:b]
+        done = 0
+        for stop in [*(int(np.searchsorted(reach, share * reach[-1])) + 1 for share in LOOKS if len(order)), len(order)]:
+            if stop <= done:
+                continue
+            at = order[done:stop]
+            place = ragged(self.starts[words[at]], sizes[done:stop])
+            score += np.bincount(self.example[place], self.weight[place] * np.repeat(weights[at], sizes[done:stop]), self.n_examples)
+            done = stop
+            if done == len(order) or rest[done] >= score.max():
                 continue
+            seen = np.flatnonzero(score)
+            if len(seen) > k + 1 and rest[done] < np.partition(score[seen], len(seen) - k - 1)[len(seen) - k - 1]:
+                known = seen  # no example unseen so far can enter
+                break
+        for rank in range(done, len(order)):
+            w, q = int(words[order[rank]]), float(weights[order[rank]])
+            a, b = int(self.starts[w]), int(self.starts[w + 1])
             floor = np.partition(score[known], len(known) - k - 1)[len(known) - k - 1]
             known = known[score[known] + rest[rank] >= floor]
             place = np.searchsorted(self.example[a:b], known)
             inside = place < b - a
             place, who = place[inside], known[inside]
-            lift = score[who] + q * self.block_max[w][place // BLOCK] + rest[rank + 1] >= floor
+            lift = score[who] + q * self.block_max[self.block_starts[w] + place // BLOCK] + rest[rank + 1] >= floor
             place, who = place[lift], who[lift]
             match = self.example[a + place] == who
             score[who[match]] += q * self.weight[a + place[match]]
@@ -131,10 +148,27 @@ class BlockMaxIndex:
         return best, np.minimum(score[best], 1.0)
 
 
+@dataclass
+class Sent:
+    """A model for the workers: its large parts are broadcast once, for learning and scoring alike."""
+
+    words: Broadcast
+    scale: Broadcast
+    parts: Broadcast | None
+    k: int
+    edges: np.ndarray
+    level: np.ndarray
+    bare: float
+
+    def model(self) -> NeighbourModel:
+        index, label, example_hash = self.parts.value if self.parts else (None, None, None)
+        return NeighbourModel(self.words.value, self.scale.value, index, label, example_hash, self.k, self.edges, self.level, self.bare)
+
+
 @dataclass
 class NeighbourModel:
     words: dict[str, int]
-    idf: np.ndarray
+    scale: np.ndarray
     index: BlockMaxIndex
     label: np.ndarray
     example_hash: np.ndarray
@@ -142,11 +176,12 @@ class NeighbourModel:
     edges: np.ndarray
     level: np.ndarray
     bare: float
+    sent: Sent | None = None
 
     def vectors(self, texts: pa.Array) -> list[tuple[np.ndarray, np.ndarray]]:
         """Words and L2-normalised TF-IDF weights of every text."""
         doc, word, n = term_counts(texts, self.words)
-        weight = (1 + np.log(n)) * self.idf[word]
+        weight = (1 + np.log(n)) * self.scale[word]
         norm = np.sqrt(np.bincount(doc, weight**2, len(texts)))
         weight = weight / np.maximum(norm[doc], 1e-300)
         cuts = np.searchsorted(doc, np.arange(len(texts) + 1))
@@ -174,63 +209,96 @@ def _pooled(rates: list[float], sizes: list[float]) -> np.ndarray:
     return np.array([r for r, _, c in stack for _ in range(int(c))])
 
 
-def fit(texts: DataFrame, vocabulary: int = 1024, k: int = 15, support: float = 0.03) -> NeighbourModel | None:
-    """Learn from rows (h, t, y) of distinct texts.  The driver gets ``vocabulary`` terms and a sparse vector a text."""
+def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str = "text") -> NeighbourModel | None:
+    """Learn from rows (h, t, y) of distinct texts; document frequencies are those of ``docs``, else of ``texts``.
+
+    The driver gets the terms and a sparse vector a text; the number of texts is bounded by ``labelled_texts``.
+    """
+
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in by_bytes(batches, "t", BATCH_BYTES):
             number: dict[str, int] = {}
             doc, term, _ = term_counts(text_array(table.column("t")), number, grow=True)
             both, toxic = np.bincount(term, minlength=len(number)), np.bincount(term, table.column("y").to_numpy()[doc], len(number))
-            # A term without a toxic text here still counts for the other batches' terms.
             yield pa.RecordBatch.from_pydict({"w": pa.array(list(number), pa.string()), "n": pa.array(both, pa.int64()), "t": pa.array(toxic.astype(np.int64))})
 
-    n = texts.agg(F.count("*").alias("n"), F.coalesce(F.sum("y"), F.lit(0)).alias("t"), F.sum(F.length("t") / 6).alias("words")).first()
+    n = texts.agg(F.count("*").alias("n"), F.coalesce(F.sum("y"), F.lit(0)).alias("t")).first()
     if not n["n"]:
         return None
     total, toxic = float(n["n"]), float(n["t"])
-    by_word = texts.select("t", "y").mapInArrow(spread, "w string, n long, t long").groupBy("w").agg(F.sum("n").alias("n"), F.sum("t").alias("t"))
-    # Signed root of the chi-square statistic of a word with the label, positive for toxic words.
-    a, m = F.col("t").cast("double"), F.col("n").cast("double")
+    by_word = texts.select("t", "y").mapInArrow(spread, "w string, n long, t long").groupBy("w").agg(F.sum("n").alias("n"), F.sum("t").alias("t")).toArrow().sort_by("w")
+    words = {w: i for i, w in enumerate(by_word.column("w").to_pylist())}
+    m, a = by_word.column("n").to_numpy().astype(float), by_word.column("t").to_numpy().astype(float)
     expected = m * toxic / total
-    z = (a - expected) / F.sqrt(F.greatest(expected * (1 - toxic / total) * (1 - m / total), F.lit(1e-9)))
-    tested = by_word.filter(F.col("t") >= max(3, math.ceil(support * toxic))).withColumn("z", F.round(z, 9))
-    distinct = max(2, int(n["words"]))
-    chosen = tested.filter(F.col("z") > 1 + math.sqrt(2 * math.log(distinct))).orderBy(F.desc("z"), "w").limit(vocabulary).collect()
-    words = {row["w"]: i for i, row in enumerate(sorted(chosen, key=lambda r: r["w"]))}
-    df = np.array([row["n"] for row in sorted(chosen, key=lambda r: r["w"])], float)
-    model = NeighbourModel(words, np.log1p(total / np.maximum(df, 1)), BlockMaxIndex.build(*[np.zeros(0, int)] * 2, np.zeros(0), len(words), 0), np.zeros(0, int), np.zeros(0, np.int64), k, np.zeros(0), np.zeros(1), 0.0)
+    z = (a - expected) / np.sqrt(np.maximum(expected * (1 - toxic / total) * (1 - m / total), 1e-9))
+    del by_word
+    sc = texts.sparkSession.sparkContext
+    held = sc.broadcast(words)
+
+    def frequency(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        number, rows, df = held.value, 0, np.zeros(len(held.value), np.int64)
+        for table in by_bytes(batches, "t", BATCH_BYTES):
+            _, term, _ = term_counts(text_array(table.column("t")), number)
+            rows += table.num_rows
+            df += np.bincount(term, minlength=len(df))
+        at = np.flatnonzero(df)
+        # The number of documents goes under term -1.
+        yield pa.RecordBatch.from_pydict({"i": pa.array(np.append(at, -1), pa.int64()), "n": pa.array(np.append(df[at], rows), pa.int64())})
+
+    if docs is not None:
+        counted = docs.select(F.col(text).alias("t")).mapInArrow(frequency, "i long, n long").groupBy("i").agg(F.sum("n").alias("n")).toArrow()
+        i, f = counted.column("i").to_numpy(), counted.column("n").to_numpy()
+        total = float(f[i < 0].sum())
+        m = np.zeros(len(words))
+        m[i[i >= 0]] = f[i >= 0]
+    scale = np.log1p(total / np.maximum(m, 1)) * (1 + np.abs(z))
+    sent = Sent(held, sc.broadcast(scale), None, k, np.zeros(0), np.zeros(1), 0.0)
+
     def vectorise(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in by_bytes(batches, "t", BATCH_BYTES):
-            got = model.vectors(text_array(table.column("t")))
-            yield pa.RecordBatch.from_pydict({"h": table.column("h").combine_chunks(), "y": table.column("y").combine_chunks(), "w": pa.array([x.astype(np.int32) for x, _ in got], pa.list_(pa.int32())), "v": pa.array([x for _, x in got], pa.list_(pa.float64()))})
-
-    found = texts.mapInArrow(vectorise, "h long, y int, w array<int>, v array<double>").toArrow().sort_by("h")
-    label = found.column("y").to_numpy().astype(np.int64)
-    own_w, own_v = found.column("w").to_pylist(), found.column("v").to_pylist()
-    sizes = np.array([len(x) for x in own_w], np.int64)
-    flat_w = np.array([x for own in own_w for x in own], np.int64)
-    flat_v = np.array([x for own in own_v for x in own], np.float64)
-    model.index = BlockMaxIndex.build(flat_w, np.repeat(np.arange(len(label)), sizes), flat_v, len(words), len(label))
-    model.label, model.example_hash = label, found.column("h").to_numpy()
-    votes = np.array([model.vote(np.array(w, np.int64), np.array(v), skip=i)[0] for i, (w, v) in enumerate(zip(own_w, own_v, strict=True))])
-    model.bare = float((label[votes < 0].sum() + 0.0) / max(1, (votes < 0).sum()))
-    model.edges = np.linspace(0, 1, BINS + 1)[1:-1]
-    bins = np.searchsorted(model.edges, votes[votes >= 0], side="right")
+            got = sent.model().vectors(text_array(table.column("t")))
+            yield pa.RecordBatch.from_pydict({"h": table.column("h").combine_chunks(), "y": table.column("y").combine_chunks(), "w": pa.array([x.astype(np.int32) for x, _ in got], pa.list_(pa.int32())), "v": pa.array([x.astype(np.float32) for _, x in got], pa.list_(pa.float32()))})
+
+    found = texts.mapInArrow(vectorise, "h long, y int, w array<int>, v array<float>").toArrow()
+    order = np.argsort(found.column("h").to_numpy())
+    label, example_hash = found.column("y").to_numpy().astype(np.int64)[order], found.column("h").to_numpy()[order]
+    place = np.empty(len(order), np.int32)
+    place[order] = np.arange(len(order))
+    example = np.repeat(place, pc.list_value_length(found.column("w")).to_numpy())
+    flat_w, flat_v = (pc.list_flatten(found.column(c)).to_numpy() for c in ("w", "v"))
+    del found
+    index = BlockMaxIndex.build(flat_w, example, flat_v, len(words), len(label))
+    del flat_w, flat_v, example
+    sent = replace(sent, parts=sc.broadcast((index, label, example_hash)))
+
+    def left_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = sent.model()
+        for table in by_bytes(batches, "t", BATCH_BYTES):
+            at = np.searchsorted(own.example_hash, table.column("h").to_numpy())
+            votes = [own.vote(w, v, skip=int(i))[0] for i, (w, v) in zip(at, own.vectors(text_array(table.column("t"))), strict=True)]
+            yield pa.RecordBatch.from_pydict({"i": pa.array(at, pa.int64()), "vote": pa.array(votes, pa.float64())})
+
+    # Each search is long, so the texts are dealt to all cores.
+    spread_out = texts.select("h", "t").repartition(4 * sc.defaultParallelism, "h")
+    votes = spread_out.mapInArrow(left_out, "i long, vote double").toArrow().sort_by("i").column("vote").to_numpy()
+    bare = float((label[votes < 0].sum() + 0.0) / max(1, (votes < 0).sum()))
+    edges = np.linspace(0, 1, BINS + 1)[1:-1]
+    bins = np.searchsorted(edges, votes[votes >= 0], side="right")
     size = np.bincount(bins, minlength=BINS).astype(float)
     hit = np.bincount(bins, label[votes >= 0], BINS)
     # An empty bin stands for its middle, with little weight.
-    model.level = _pooled(list((hit + 0.5 * (np.arange(BINS) + 0.5) / BINS) / (size + 0.5)), list(size + 0.5))
-    return model
+    level = _pooled(list((hit + 0.5 * (np.arange(BINS) + 0.5) / BINS) / (size + 0.5)), list(size + 0.5))
+    return NeighbourModel(words, scale, index, label, example_hash, k, edges, level, bare, replace(sent, edges=edges, level=level, bare=bare))
 
 
 def scored(docs: DataFrame, model: NeighbourModel | None, threshold: float = 0.7, evidence: int = 3, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``key, score, predicted, evidence``: evidence is the nearest examples' text hashes, labels and cosines."""
     kind = docs.schema[key].dataType.simpleString()
-    held = docs.sparkSession.sparkContext.broadcast(model)  # bounded by fit()
+    sent = model.sent if model else None
     entry = pa.struct([("example", pa.int64()), ("toxic", pa.int32()), ("cosine", pa.float64())])
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = held.value
+        m = sent.model() if sent else None
         for table in by_bytes(batches, "t", BATCH_BYTES):
             scores, shown = [], []
             for words, weights in m.vectors(text_array(table.column("t"))) if m else [(None, None)] * table.num_rows:
@@ -245,16 +313,16 @@ def scored(docs: DataFrame, model: NeighbourModel | None, threshold: float = 0.7
 
 def toxicity(docs: DataFrame, marks: DataFrame, train: Column | None = None, examples: int = EXAMPLES, **options) -> DataFrame:
     """Scores of every row of ``docs``, learnt from at most ``examples`` labelled documents that meet ``train``."""
-    return scored(docs, fit(labelled_texts(docs, marks, "toxic", examples, train), **options))
+    return scored(docs, fit(labelled_texts(docs, marks, "toxic", examples, train), docs), **options)
 
 
 def keep_clean(docs: DataFrame, marks: DataFrame, threshold: float = 0.7) -> DataFrame:
     """The rows of ``docs`` that score below ``threshold``, with its columns."""
-    model = fit(labelled_texts(docs, marks, "toxic", EXAMPLES))
-    held = docs.sparkSession.sparkContext.broadcast(model)
+    model = fit(labelled_texts(docs, marks, "toxic", EXAMPLES), docs)
+    sent = model.sent if model else None
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = held.value
+        m = sent.model() if sent else None
         for table in by_bytes(batches, "text", BATCH_BYTES):
             low = [m.calibrated(m.vote(w, v)[0]) < threshold for w, v in m.vectors(text_array(table.column("text")))] if m else [True] * table.num_rows
             yield from table.filter(pa.array(low, pa.bool_())).to_batches()

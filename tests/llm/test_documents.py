@@ -125,6 +125,24 @@ def test_toxic_documents_are_found(spark, marked, awkward):
     assert none == 0.0
 
 
+def test_every_term_of_a_labelled_text_weighs(spark):
+    """A source with 2 % of the toxic labels is judged by its own words."""
+    rng = np.random.default_rng(11)
+    hot = [prose(40, rng) + " vilefool" * 3 for _ in range(294)]
+    rare = [" ".join(f"k{int(i)}" for i in rng.integers(0, 60, 40)) + " zlobny zlobny" for _ in range(9)]
+    good = [prose(40, rng) for _ in range(1500)] + [" ".join(f"k{int(i)}" for i in rng.integers(0, 60, 40)) for _ in range(100)]
+    texts = hot + rare + good
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    marks = spark.createDataFrame([(i, int(i < 303)) for i in range(len(texts))], "doc_id long, toxic int")
+    model = toxicity.fit(toxicity.labelled_texts(docs, marks.filter("doc_id not in (294, 295, 296)"), "toxic", 5000), docs)
+    assert {"=" + w for t in texts[297:] for w in t.split()} <= set(model.words)
+    n, toxic, held = len(texts) - 3, 300, 6  # nine documents hold the word, six of them labelled
+    z = (held - held * toxic / n) / np.sqrt(held * toxic / n * (1 - toxic / n) * (1 - held / n))
+    assert np.isclose(model.scale[model.words["=zlobny"]], np.log1p(len(texts) / 9) * (1 + z)) and (model.scale > 0).all()
+    near = toxicity.scored(docs, model, evidence=6).filter("doc_id between 294 and 296").collect()
+    assert len(near) == 3 and all([e["toxic"] for e in r["evidence"]] == [1] * 6 for r in near)
+
+
 # Quality by passages.
 
 
