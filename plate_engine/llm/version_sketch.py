@@ -1,8 +1,8 @@
 """Document fingerprints: invertible Bloom lookup sketches of paragraph digests; DataFrame functions only.
 
 Paragraphs are content-defined: one ends after a word where a hash of it and the word before is a multiple of
-the text's scale, a power of two that grows with the length, so any text has about 8 to 16 of them and an
-edit changes only those it touches.  Boundaries of a larger scale are boundaries of every smaller one, hence two texts
+the text's scale, a power of two of at most 16 words.  A short text's scale is smaller, so it too has some 8 paragraphs;
+from about 130 words on their number grows with the text, and an edit changes only the few words of those it touches.  Boundaries of a larger scale are boundaries of every smaller one, hence two texts
 are compared at the larger of their scales.
 
 A sketch has three thirds of cells; a digest falls in one cell of each.  A cell holds the number, the xor of
@@ -19,6 +19,7 @@ that document as its own next; a paragraph that repeats in a text counts once; o
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
@@ -30,12 +31,13 @@ from .quality_rules import WORD_GAP, _let
 #: Cells in a third of a sketch, at first and at most.
 SMALLEST, LARGEST = 16, 1024
 CHARS_A_PARAGRAPH = 48
+LARGEST_SCALE = 16
 PEEL_ROUNDS = 24
 
 
 def scale(n_chars: Column) -> Column:
-    """The largest power of two up to n_chars / 48, 1 at least."""
-    steps = F.floor(F.greatest(n_chars, F.lit(CHARS_A_PARAGRAPH)) / CHARS_A_PARAGRAPH)
+    """The largest power of two up to n_chars / 48, 1 at least and ``LARGEST_SCALE`` at most."""
+    steps = F.floor(F.least(F.greatest(n_chars, F.lit(CHARS_A_PARAGRAPH)) / CHARS_A_PARAGRAPH, F.lit(LARGEST_SCALE)))
     return F.pow(F.lit(2.0), F.length(F.bin(steps)) - 1).cast("long")
 
 
@@ -81,23 +83,44 @@ def _xored(a: Column, b: Column, sign: Column | int) -> Column:
     return _cell(a["n"] + sign, a["x"].bitwiseXOR(b["x"]), a["c"].bitwiseXOR(b["c"]))
 
 
-def sketch(digests: Column, cells: int = SMALLEST) -> Column:
-    """``3 * cells`` cells (n, x, c) of an array of distinct digests."""
+def _cells(entries: Column, cells: int) -> Column:
+    """Cells of entries (n, x, c, p0, p1, p2).  They are dealt to some square root of ``cells`` groups first,
+    so a cell looks only through its group's entries."""
     zero = _cell(F.lit(0), F.lit(0), F.lit(0))
+    width = 1 << (cells.bit_length() // 2)
+    upto = lambda n: F.sequence(F.lit(0).cast("long"), F.lit(n - 1).cast("long"))
 
     def built(own: Column) -> Column:
         def third(t: int) -> Column:
-            def cell(j: Column) -> Column:
-                return F.aggregate(own, zero, lambda acc, d: F.when(d[f"p{t}"] == j, _xored(acc, d, 1)).otherwise(acc))
+            def group(g: Column) -> Column:
+                def filled(members: Column) -> Column:
+                    def cell(j: Column) -> Column:
+                        return F.aggregate(members, zero, lambda acc, d: F.when(d[f"p{t}"] == g * width + j, _xored(acc, d, d["n"])).otherwise(acc))
+
+                    return F.transform(upto(width), cell)
 
-            return F.transform(F.sequence(F.lit(0).cast("long"), F.lit(cells - 1).cast("long")), cell)
+                return _let(F.filter(own, lambda d: F.shiftright(d[f"p{t}"], width.bit_length() - 1) == g), filled)
+
+            return F.flatten(F.transform(upto(cells // width), group))
 
         return F.concat(*[third(t) for t in range(3)])
 
-    entries = F.transform(digests, lambda d: F.struct(d.alias("x"), _check(d).alias("c"), *[_place(d, t, cells).alias(f"p{t}") for t in range(3)]))
     return _let(entries, built)
 
 
+def _entries(digests: Column, cells: int, of: Callable[[Column], tuple[Column, Column, Column]]) -> Column:
+    def entry(d: Column) -> Column:
+        n, x, c = of(d)
+        return F.struct(n.cast("int").alias("n"), x.alias("x"), c.alias("c"), *[_place(x, t, cells).alias(f"p{t}") for t in range(3)])
+
+    return F.transform(digests, entry)
+
+
+def sketch(digests: Column, cells: int = SMALLEST) -> Column:
+    """``3 * cells`` cells (n, x, c) of an array of distinct digests."""
+    return _cells(_entries(digests, cells, lambda d: (F.lit(1), d, _check(d))), cells)
+
+
 def subtracted(a: Column, b: Column) -> Column:
     return F.zip_with(a, b, lambda x, y: _cell(x["n"] - y["n"], x["x"].bitwiseXOR(y["x"]), x["c"].bitwiseXOR(y["c"])))
 
@@ -111,13 +134,9 @@ def peeled(difference: Column, cells: int) -> Column:
         single = F.array_distinct(F.filter(acc["cells"], lambda z: (F.abs(z["n"]) == 1) & (_check(z["x"]) == z["c"])))
 
         def take_out(singles: Column) -> Column:
-            def emptied(z: Column, i: Column) -> Column:
-                t, j = F.floor(i / cells), (i % cells).cast("long")
-                at = lambda p: F.when(t == 0, _place(p["x"], 0, cells)).when(t == 1, _place(p["x"], 1, cells)).otherwise(_place(p["x"], 2, cells))
-                return F.aggregate(singles, z, lambda cell, p: F.when(at(p) == j, _xored(cell, p, -p["n"])).otherwise(cell))
-
+            taken = _cells(_entries(singles, cells, lambda p: (p["n"], p["x"], p["c"])), cells)
             return F.when(F.size(singles) == 0, F.struct(acc["cells"].alias("cells"), acc["found"].alias("found"), F.lit(True).alias("done"))).otherwise(
-                F.struct(F.transform(acc["cells"], emptied).alias("cells"), F.concat(acc["found"], singles).alias("found"), F.lit(False).alias("done"))
+                F.struct(subtracted(acc["cells"], taken).alias("cells"), F.concat(acc["found"], singles).alias("found"), F.lit(False).alias("done"))
             )
 
         return F.when(acc["done"], acc).otherwise(_let(single, take_out))

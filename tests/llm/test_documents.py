@@ -261,6 +261,19 @@ def test_sketch_peels_what_differs(spark):
         assert abs(r["s"] - (len(set(x) & set(y)) / len(set(x) | set(y)) if x or y else 1.0)) < 1e-12
 
 
+def test_few_edits_of_a_long_text_stay_near(spark):
+    rng = np.random.default_rng(12)
+    base = [f"u{int(i)}" for i in rng.integers(0, 10**6, 6000)]
+    edit = list(base)
+    for i in rng.choice(6000, 12, replace=False):
+        edit[int(i)] = "edited"
+    df = spark.createDataFrame([(1, " ".join(base)), (2, " ".join(edit))], "doc_id long, text string")
+    got = {r["doc_id"]: r for r in version_sketch.versions(df).collect()}
+    assert got[1]["near_next"] == got[2]["near_next"] > 0.85  # 12 edits touch at most 24 of some 375 paragraphs
+    digests = spark.createDataFrame([(base,)], "w array<string>").select(version_sketch.paragraphs(F.transform("w", lambda w: F.xxhash64(w)), version_sketch.scale(F.lit(40_000))).alias("d")).first()["d"]
+    assert 250 < len(digests) < 500
+
+
 def test_versions(spark, awkward):
     from hashlib import sha256
 
