@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -11,11 +12,14 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import SparkContext
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: The six characters that separate words: 0x20 and 0x09 to 0x0D.
 WORD_SPACES = " \t\n\x0b\x0c\r"
+#: Keys with over 1 / HOT_SHARE of the rows, and over HOT_LEAST rows, are joined by broadcast.
+HOT_SHARE, HOT_LEAST = 1000, 500
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -46,16 +50,33 @@ def labelled_texts(docs: DataFrame, marks: DataFrame, label: str, most: int, whe
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The cluster's checkpoint folder; a folder of our own only where the session names none."""
+    """A folder of this application in the cluster's checkpoint folder, removed when the application ends.
+
+    A folder of our own is made only in local mode, where driver and executors are one process.
+    """
     sc = spark.sparkContext
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named
-    if sc.getCheckpointDir() is None:
-        own = tempfile.mkdtemp(prefix="plates-")
-        atexit.register(shutil.rmtree, own, True)
-        sc.setCheckpointDir(own)
-    return sc.getCheckpointDir()
+    named = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
+    if not named:
+        if not re.fullmatch(r"local(\[[\d*, ]+\])?", sc.master):
+            raise RuntimeError("name a folder that driver and executors share in spark.checkpoint.dir")
+        named = tempfile.mkdtemp(prefix="plates-")
+        sc.setCheckpointDir(named)
+        atexit.register(shutil.rmtree, named, True)
+    path = f"{named}/corpus-{sc.applicationId}"
+    if path not in _FOLDERS:
+        _FOLDERS.add(path)
+        atexit.register(_remove, sc, path)
+    return path
+
+
+_FOLDERS: set[str] = set()
+
+
+def _remove(sc: SparkContext, path: str) -> None:
+    if sc._jsc is None:  # stopped before the end of the program
+        return
+    target = sc._jvm.org.apache.hadoop.fs.Path(path)
+    target.getFileSystem(sc._jsc.hadoopConfiguration()).delete(target, True)
 
 
 def stored(df: DataFrame, what: str, partition_by: list[str] | None = None) -> DataFrame:
@@ -72,6 +93,21 @@ def stored(df: DataFrame, what: str, partition_by: list[str] | None = None) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
+def hot_join(many: DataFrame, one: DataFrame, on: str, count: str = "n") -> DataFrame:
+    """Inner join of ``many`` with ``one``, which has one row a key and in ``count`` how many rows of ``many`` may hold it.
+
+    Keys of over 1 / ``HOT_SHARE`` of all rows, so at most ``HOT_SHARE`` keys, are broadcast and their rows stay where
+    they are; the others are joined as usual.  Both sides should be tables, since they are read again.
+    """
+    size = one.agg(F.coalesce(F.sum(count), F.lit(0)).alias("total"), F.coalesce(F.max(count), F.lit(0)).alias("most")).first()
+    bar = max(HOT_LEAST, size["total"] // HOT_SHARE)
+    if size["most"] <= bar:
+        return many.join(one.drop(count), on)
+    hot, rest = one.filter(F.col(count) > bar), one.filter(F.col(count) <= bar).drop(count)
+    by_broadcast = many.join(F.broadcast(hot.drop(count)), on)
+    return by_broadcast.union(many.join(F.broadcast(hot.select(on)), on, "left_anti").join(rest, on).select(by_broadcast.columns))
+
+
 def text_array(column: pa.Array | pa.ChunkedArray) -> pa.Array:
     """One string array without nulls; a null text counts as the empty one."""
     if isinstance(column, pa.ChunkedArray):

@@ -3,7 +3,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from plate_engine.llm import near_dedup, quality_model, quality_rules, toxicity, version_sketch
+from plate_engine.llm import common, near_dedup, quality_model, quality_rules, toxicity, version_sketch
 
 from .conftest import AWKWARD
 
@@ -222,10 +222,11 @@ def test_signatures_are_unbiased():
     assert 0.6 < np.mean(np.square(gaps)) / np.mean(spread) < 1.6
 
 
-@pytest.mark.parametrize("leaders", [3, 0])
-def test_classes_equal_brute_force(spark, awkward, monkeypatch, leaders):
-    """Without leaders all links come from the rarest-run search."""
-    monkeypatch.setattr(near_dedup, "LEADERS", leaders)
+@pytest.mark.parametrize("hot", [500, 1])
+def test_classes_equal_brute_force(spark, awkward, monkeypatch, hot):
+    """Also with every key of two rows or more joined by broadcast, and texts compared in chunks of two."""
+    monkeypatch.setattr(common, "HOT_LEAST", hot)
+    monkeypatch.setattr(near_dedup, "CHUNK", 256 if hot > 1 else 2)
     rng = np.random.default_rng(6)
     texts = [t or "" for _, t in AWKWARD]
     passage = prose(60, rng)
