@@ -1,11 +1,17 @@
-"""Token ids in patched frame-of-reference blocks.
+"""Token ids in files of patched frame-of-reference blocks.
 
-A segment is one self-contained binary: header, document table (id, length), block index (start of
-every block), blocks, exceptions.  A block holds 128 ids less their minimum, packed at the width that
+A file holds up to ``SEGMENTS_A_FILE`` segments one behind the other.  A segment is self-contained: a header with its size,
+place and counts, a document table (id, length), a block index (start of every block), blocks, exceptions, and a
+closing byte 0x0A.  A block holds 128 ids less their minimum, packed at the width that
 a percentile of them needs; ids beyond the width go to its exception list and are patched in on
-reading.  Segments are rows of a Parquet table, so any store that Spark reaches will do, in ascending
-document order: ``part`` and ``seq`` order them, and the ids before a document are its part's base
-plus the running count inside the part.
+reading.  Files are written by Spark's own writer, so any store that Spark reaches will do and a task that is
+run again replaces its files; they are read as binary files.  Documents are in ascending order: ``part`` and ``seq``
+of the header order the segments, and the ids before a document are its part's base plus the
+running count inside the part.  ``read_documents`` decodes only the blocks of the documents asked for.
+
+Defined cases: a null text counts as empty and holds the end id alone; null document ids come first and stay
+null; repeated rows are encoded each, rows of one id in the order of their text's hash; an empty table gives no
+segments; other columns are ignored.  Ids of documents are whole numbers (64 bits).
 """
 
 from __future__ import annotations
@@ -13,21 +19,23 @@ from __future__ import annotations
 import struct
 import zlib
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import by_bytes, ragged, stored, text_array
+from .common import by_bytes, ragged, scratch, stored, text_array
 from .encoders import encoder
 
 BLOCK = 128
 PERCENTILE = 0.9
-BATCH_BYTES = 24 << 20
-HEAD = struct.Struct("<4sHHQQQ")  # magic, version, block, documents, ids, exceptions
-MAGIC = b"PFR1"
+BATCH_BYTES = 2 << 20
+SEGMENTS_A_FILE = 16
+HEAD = struct.Struct("<4sHHQQQQQQ")  # magic, version, block, size, part, seq, ids before in the part, documents, ids
+MAGIC = b"PFR2"
 
 
 def _bits(values: np.ndarray) -> np.ndarray:
@@ -95,32 +103,53 @@ def unpack_ids(data: memoryview, n: int, first: int = 0, last: int | None = None
     return (out + low[first:last, None]).ravel()[: n - first * BLOCK]
 
 
-def write_segment(doc_ids: np.ndarray, lengths: np.ndarray, ids: np.ndarray) -> bytes:
-    null = np.array([d is None for d in doc_ids], "u1")
-    numbers = np.array([0 if d is None else d for d in doc_ids], "<i8")
-    head = HEAD.pack(MAGIC, 1, BLOCK, len(lengths), len(ids), int(null.sum()))
-    return head + numbers.tobytes() + null.tobytes() + lengths.astype("<u8").tobytes() + pack_ids(ids)
-
-
-def read_segment(payload: bytes) -> tuple[list[int | None], np.ndarray, np.ndarray]:
-    """Document ids, lengths, and all ids of a segment."""
-    magic, version, block, n_docs, n_ids, _ = HEAD.unpack_from(payload)
-    if magic != MAGIC or version != 1 or block != BLOCK:
-        raise ValueError("not a segment of this format")
-    at = HEAD.size
-    numbers = np.frombuffer(payload, "<i8", n_docs, at)
-    null = np.frombuffer(payload, "u1", n_docs, at + 8 * n_docs)
-    lengths = np.frombuffer(payload, "<u8", n_docs, at + 9 * n_docs).astype(np.int64)
-    ids = unpack_ids(memoryview(payload)[at + 17 * n_docs :], n_ids)
-    return [None if z else int(x) for x, z in zip(numbers, null, strict=True)], lengths, ids
+@dataclass
+class Segment:
+    """One segment of a file: its place, document table and packed ids."""
+
+    part: int
+    seq: int
+    first: int
+    docs: list[int | None]
+    lengths: np.ndarray
+    n_ids: int
+    packed: memoryview
+
+    @classmethod
+    def all_of(cls, data: bytes) -> Iterator[Segment]:
+        """The segments of a file's bytes, in order."""
+        view, at = memoryview(data), 0
+        while at < len(view):
+            magic, version, block, size, part, seq, first, n_docs, n_ids = HEAD.unpack_from(view, at)
+            if magic != MAGIC or version != 2 or block != BLOCK or at + size > len(view):
+                raise ValueError("not a segment of this format")
+            table = at + HEAD.size
+            numbers = np.frombuffer(view, "<i8", n_docs, table).tolist()
+            null = np.frombuffer(view, "u1", n_docs, table + 8 * n_docs).tolist()
+            lengths = np.frombuffer(view, "<u8", n_docs, table + 9 * n_docs).astype(np.int64)
+            yield cls(part, seq, first, [None if z else x for x, z in zip(numbers, null, strict=True)], lengths, n_ids, view[table + 17 * n_docs : at + size - 1])
+            at += size
+
+    def starts(self) -> np.ndarray:
+        return np.cumsum(self.lengths) - self.lengths
+
+    def ids(self, start: int = 0, stop: int | None = None) -> np.ndarray:
+        """Ids ``start`` to ``stop`` of the segment; only their blocks are decoded."""
+        stop = self.n_ids if stop is None else stop
+        first = start // BLOCK
+        got = unpack_ids(self.packed, self.n_ids, first, -(-stop // BLOCK))
+        return got[start - first * BLOCK : stop - first * BLOCK]
+
+
+def write_segment(docs: list[int | None], lengths: np.ndarray, ids: np.ndarray, part: int = 0, seq: int = 0, first: int = 0) -> bytes:
+    numbers = np.array([0 if d is None else d for d in docs], "<i8")
+    null = np.array([d is None for d in docs], "u1")
+    body = numbers.tobytes() + null.tobytes() + lengths.astype("<u8").tobytes() + pack_ids(ids) + b"\n"
+    return HEAD.pack(MAGIC, 2, BLOCK, HEAD.size + len(body), part, seq, first, len(lengths), len(ids)) + body
 
 
 def encode_segments(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str = "text", key: str = "doc_id") -> DataFrame:
-    """``part, seq, first, n_ids, payload``: segments in ascending order of the (long) ``key``.
-
-    Null ids come first; rows of one id are ordered by their text's hash.  A null text counts as empty and
-    holds the end id alone.  ``first`` counts the ids before the segment within its part.
-    """
+    """``payload``: segments in ascending order of the (long) ``key``."""
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, first = TaskContext.get().partitionId(), 0
@@ -129,32 +158,59 @@ def encode_segments(docs: DataFrame, tokenizer: str, end_id: int = 1, text: str
             lengths = np.diff(offsets) + 1
             ids = np.full(len(got) + len(lengths), end_id, np.uint32)
             ids[ragged(offsets[:-1] + np.arange(len(lengths)), lengths - 1)] = got
-            payload = write_segment(table.column("k").to_pylist(), lengths, ids)
-            yield pa.RecordBatch.from_pydict({"part": [part], "seq": [seq], "first": [first], "n_ids": [len(ids)], "payload": [payload]})
+            payload = write_segment(table.column("k").to_pylist(), lengths, ids, part, seq, first)
+            yield pa.RecordBatch.from_pydict({"payload": [payload]})
             first += len(ids)
 
     ordered = docs.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t"), F.xxhash64(text).alias("h")).repartitionByRange("k", "h").sortWithinPartitions("k", "h")
-    return ordered.select("k", "t").mapInArrow(write, "part long, seq long, first long, n_ids long, payload binary")
+    return ordered.select("k", "t").mapInArrow(write, "payload binary")
+
+
+def write_files(segments: DataFrame, path: str) -> None:
+    """Write segments to files, each record's bytes as they are (the last is the line end that the writer adds)."""
+    raw = F.expr("cast(substring(payload, 1, length(payload) - 1) as string)").alias("value")
+    segments.select(raw).write.option("lineSep", "\n").option("maxRecordsPerFile", SEGMENTS_A_FILE).text(path)
+
+
+def files(spark: SparkSession, path: str) -> DataFrame:
+    return spark.read.format("binaryFile").load(path).filter("length > 0").select("content")
 
 
-def decode_segments(segments: DataFrame) -> DataFrame:
-    """``doc_id, start, n_tokens, ids_crc32`` of every document, read from the segments alone."""
+def decode_files(content: DataFrame) -> DataFrame:
+    """``doc_id, start, n_tokens, ids_crc32`` of every document, read from the files alone."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for row in range(batch.num_rows):
-                docs, lengths, ids = read_segment(batch.column("payload")[row].as_py())
-                ends = np.cumsum(lengths)
-                raw = memoryview(ids.astype("<u4").tobytes())
-                crc = [zlib.crc32(raw[4 * (e - n) : 4 * e]) for e, n in zip(ends.tolist(), lengths.tolist(), strict=True)]
-                part, first = batch.column("part")[row].as_py(), batch.column("first")[row].as_py()
-                yield pa.RecordBatch.from_pydict({"part": pa.array([part] * len(docs), pa.int64()), "doc_id": pa.array(docs, pa.int64()), "inside": pa.array(first + ends - lengths, pa.int64()), "n_tokens": pa.array(lengths, pa.int64()), "ids_crc32": pa.array(crc, pa.int64())})
-
-    rows = segments.select("part", "first", "payload").mapInArrow(read, "part long, doc_id long, inside long, n_tokens long, ids_crc32 long")
+            for data in batch.column("content"):
+                for s in Segment.all_of(data.as_buffer()):
+                    starts = s.starts()
+                    raw = memoryview(s.ids().astype("<u4").tobytes())
+                    crc = [zlib.crc32(raw[4 * a : 4 * (a + n)]) for a, n in zip(starts.tolist(), s.lengths.tolist(), strict=True)]
+                    yield pa.RecordBatch.from_pydict({"part": pa.array([s.part] * len(crc), pa.int64()), "doc_id": pa.array(s.docs, pa.int64()), "inside": pa.array(s.first + starts, pa.int64()), "n_tokens": pa.array(s.lengths, pa.int64()), "ids_crc32": pa.array(crc, pa.int64())})
+
+    rows = stored(content.mapInArrow(read, "part long, doc_id long, inside long, n_tokens long, ids_crc32 long"), "token-documents")
     # One row a part: as many as shuffle partitions, however large the corpus.
-    bases = segments.groupBy("part").agg(F.sum("n_ids").alias("n")).select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("base"))
+    bases = rows.groupBy("part").agg(F.sum("n_tokens").alias("n")).select("part", (F.sum("n").over(Window.orderBy("part")) - F.col("n")).alias("base"))
     return rows.join(F.broadcast(bases), "part").select("doc_id", (F.col("base") + F.col("inside")).alias("start"), "n_tokens", "ids_crc32")
 
 
+def read_documents(content: DataFrame, wanted: list[int]) -> DataFrame:
+    """``doc_id, ids`` of the documents of a list of ids; of a segment only their blocks are decoded."""
+    chosen = frozenset(wanted)
+
+    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for data in batch.column("content"):
+                for s in Segment.all_of(data.as_buffer()):
+                    for doc, start, n in zip(s.docs, s.starts().tolist(), s.lengths.tolist(), strict=True):
+                        if doc in chosen:
+                            yield pa.RecordBatch.from_pydict({"doc_id": pa.array([doc], pa.int64()), "ids": pa.array([s.ids(start, start + n).tolist()], pa.list_(pa.int64()))})
+
+    return content.mapInArrow(read, "doc_id long, ids array<long>")
+
+
 def token_blocks(docs: DataFrame, tokenizer: str, end_id: int = 1) -> DataFrame:
-    return decode_segments(stored(encode_segments(docs, tokenizer, end_id), "token-blocks"))
+    """The documents as the files say, which are written to the shared folder and read again."""
+    path = scratch(docs.sparkSession, "token-files")
+    write_files(encode_segments(docs, tokenizer, end_id), path)
+    return decode_files(files(docs.sparkSession, path))

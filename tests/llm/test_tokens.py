@@ -1,3 +1,4 @@
+import os
 import zlib
 from hashlib import sha256
 
@@ -84,6 +85,21 @@ def test_token_files(spark, awkward):
         assert (r["doc_id"], r["start"], r["n_tokens"], r["ids_crc32"]) == (i, start, len(ids), zlib.crc32(ids.tobytes()))
         start += len(ids)
     assert token_blocks.token_blocks(awkward.limit(0), WORD).count() == 0
+    twice = awkward.union(awkward).union(awkward.limit(2).selectExpr("cast(null as long)", "text", "lang", "source", "n_tokens", "score"))
+    again = token_blocks.token_blocks(twice, WORD).orderBy("start").collect()
+    assert [r["doc_id"] for r in again] == [None, None] + sorted([i for i, _ in AWKWARD] * 2)
+    assert [r["start"] for r in again] == np.cumsum([0] + [r["n_tokens"] for r in again])[:-1].tolist()
+    assert {(r["doc_id"], r["ids_crc32"]) for r in again if r["doc_id"] is not None} == {(r["doc_id"], r["ids_crc32"]) for r in rows}
+
+
+def test_documents_are_read_by_their_blocks(spark, awkward, monkeypatch):
+    path = token_blocks.scratch(spark, "some-files")
+    token_blocks.write_files(token_blocks.encode_segments(awkward, WORD), path)
+    library = Tokenizer.from_file(WORD)
+    got = {r["doc_id"]: r["ids"] for r in token_blocks.read_documents(token_blocks.files(spark, path), [4, 8, 13]).collect()}
+    assert got == {i: [*library.encode(TEXTS[i], add_special_tokens=False).ids, 1] for i in (4, 8, 13)}
+    names = [f for _, _, fs in os.walk(path.removeprefix("file:")) for f in fs if f.endswith(".txt")]
+    assert names  # the format's own files, not tables
 
 
 def brute_pack(sizes, capacity):
