@@ -45,6 +45,11 @@ def labelled_texts(docs: DataFrame, marks: DataFrame, label: str, most: int, whe
     marks = marks.filter(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
     marks = marks.filter(where) if where is not None else marks
     marks = marks.groupBy("doc_id").agg(F.max(label).cast("int").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(most)
+    return distinct_texts(docs, marks)
+
+
+def distinct_texts(docs: DataFrame, marks: DataFrame) -> DataFrame:
+    """``h, t, y``: hash, text and largest label of the distinct texts of a bounded number of documents (doc_id, y)."""
     found = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("t")).join(F.broadcast(marks), "doc_id")
     return stored(found.groupBy(F.xxhash64("t").alias("h")).agg(F.min("t").alias("t"), F.max("y").alias("y")), "labelled")
 

@@ -41,19 +41,21 @@ from .common import by_bytes, ragged, stored, text_array
 DISCOUNTED = 5
 #: Histories of over 1/HOT_SHARE of the tokens, and HOT_LEAST, are spread over buckets.
 HOT_SHARE, HOT_LEAST = 2000, 1000
-BATCH_BYTES = 16 << 20
+BATCH_BYTES = 6 << 20
 END = np.uint64(0)
 UNKNOWN, START = -2, -1
 ROW = "kind string, block long, part long, payload binary"
 
 
 def pack(*arrays: np.ndarray) -> bytes:
-    """Whole-number or float arrays, whole ones at the least width, compressed."""
+    """Whole-number or float arrays, whole ones at the least width, their first bytes together, then their second
+    ones and so on, compressed."""
     out = []
     for a in arrays:
         if a.dtype.kind in "iu" and a.dtype != np.uint64 and len(a):
             a = a.astype(np.result_type(np.min_scalar_type(a.min()), np.min_scalar_type(a.max())))
-        out.append(struct.pack("<4sQ", a.dtype.str.encode().ljust(4), len(a)) + a.tobytes())
+        planes = np.ascontiguousarray(a).view(np.uint8).reshape(len(a), a.dtype.itemsize).T
+        out.append(struct.pack("<4sQ", a.dtype.str.encode().ljust(4), len(a)) + planes.tobytes())
     return zstandard.ZstdCompressor(level=1).compress(b"".join(out))
 
 
@@ -61,8 +63,10 @@ def unpack(payload: bytes) -> list[np.ndarray]:
     data, at, out = zstandard.ZstdDecompressor().decompress(payload), 0, []
     while at < len(data):
         kind, n = struct.unpack_from("<4sQ", data, at)
-        a = np.frombuffer(data, kind.decode().strip(), n, at + 12)
-        at += 12 + a.nbytes
+        dtype = np.dtype(kind.decode().strip())
+        planes = np.frombuffer(data, np.uint8, n * dtype.itemsize, at + 12).reshape(dtype.itemsize, n)
+        a = np.ascontiguousarray(planes.T).view(dtype).ravel()
+        at += 12 + planes.nbytes
         out.append(a if a.dtype.kind == "f" or a.dtype == np.uint64 else a.astype(np.int64))
     return out
 
@@ -145,10 +149,12 @@ def _blocks(slices: int):
             count = np.bincount(tokens, np.repeat(train, n), len(key)).astype(np.int64)
             part = (key % np.uint64(slices)).astype(np.int64)
             block = first + seq
-            docs = table.column("k").to_pylist()
-            null = np.array([d is None for d in docs], np.int64)
-            numbers = np.array([0 if d is None else d for d in docs], np.int64)
-            rows = [("block", block, -1, pack(numbers, null, train, n, tokens, part))]
+            ids = pa.record_batch([table.column("k").combine_chunks()], ["k"])
+            sink = pa.BufferOutputStream()
+            with pa.ipc.new_stream(sink, ids.schema) as out:
+                out.write_batch(ids)
+            named = sink.getvalue().to_pybytes()
+            rows = [("block", block, -1, struct.pack("<Q", len(named)) + named + pack(train, n, tokens, part))]
             for s in np.unique(part):
                 own = part == s
                 rows.append(("words", block, int(s), pack(key[own], count[own])))
@@ -189,7 +195,7 @@ def _answers(table: pa.Table, kind: str) -> dict[int, list[np.ndarray]]:
 class _Block:
     """A block with the ids and counts of its words, and its distinct known bigrams by bucket."""
 
-    docs: list[int | None]
+    docs: pa.ChunkedArray
     n: np.ndarray
     tokens: np.ndarray
     word_id: np.ndarray
@@ -203,7 +209,9 @@ class _Block:
 
     @classmethod
     def of(cls, payload: bytes, ids: dict[int, list[np.ndarray]], slices: int, hot: int) -> _Block:
-        numbers, null, train, n, tokens, part = unpack(payload)
+        (named,) = struct.unpack_from("<Q", payload)
+        docs = pa.ipc.open_stream(payload[8 : 8 + named]).read_all().column("k")
+        train, n, tokens, part = unpack(payload[8 + named :])
         word_id, word_count = np.full(len(part) + 1, START), np.zeros(len(part) + 1, np.int64)
         for s, (own, count) in ids.items():
             at = np.flatnonzero(part == s)
@@ -217,9 +225,10 @@ class _Block:
         of_token[known] = inverse
         first, second = code // (len(part) + 1), code % (len(part) + 1)
         trained = np.bincount(inverse, np.repeat(train, n)[known], len(code)).astype(np.int64)
+        del pair, inverse, before, known
         spread = (word_id[first] == START) | (word_count[first] > hot)
         bucket = np.where(spread, (word_id[first] * 7919 + word_id[second] * 104729) % slices, word_id[first] % slices)
-        return cls([None if z else int(x) for x, z in zip(numbers, null, strict=True)], n, tokens, word_id, word_count, bucket, first, second, trained, of_token, part)
+        return cls(docs, n, tokens, word_id, word_count, bucket, first, second, trained, of_token, part)
 
 
 def _send_pairs(slices: int, hot: int):
@@ -333,7 +342,7 @@ def _score(slices: int, hot: int, unigrams: Unigrams, bigrams: Discounts, hot_we
         totals = lambda x: np.add.reduceat(x, ends - b.n)
         c = b.word_count[b.tokens]
         base = np.log10((c + 1) / (unigrams.total + unigrams.distinct + 1))
-        return pa.table({"doc_id": pa.array(b.docs, pa.int64()), "n_tokens": pa.array(b.n), "n_known": pa.array(totals((c > 0).astype(np.int64))), "base_score": pa.array(totals(base)), "score": pa.array(totals(value))})
+        return pa.table({"doc_id": b.docs, "n_tokens": pa.array(b.n), "n_known": pa.array(totals((c > 0).astype(np.int64))), "base_score": pa.array(totals(base)), "score": pa.array(totals(value))})
 
     return score
 
@@ -342,7 +351,7 @@ def katz_scores(docs: DataFrame, train: Column, key: str = "doc_id", text: str =
     """``doc_id, n_tokens, n_known, train_tokens, base_score, score`` of every row, from the rows that meet ``train``."""
     spark = docs.sparkSession
     slices = max(16, 2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
-    rows = docs.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t"), F.coalesce(train, F.lit(False)).cast("int").alias("train"))
+    rows = docs.select(F.col(key).alias("k"), F.col(text).alias("t"), F.coalesce(train, F.lit(False)).cast("int").alias("train"))
     cut = stored(rows.mapInArrow(_blocks(slices), ROW), "lm-blocks", ["kind"])
     blocks = cut.filter("kind = 'block'")
     words = stored(cut.filter("kind = 'words'").groupBy("part").applyInArrow(_number_words(slices), ROW), "lm-words", ["kind"])
@@ -366,5 +375,5 @@ def katz_scores(docs: DataFrame, train: Column, key: str = "doc_id", text: str =
     starts = next((int(r["total"]) for r in sums if r["history"] == START), 0)
     weights = tables.groupBy("part").cogroup(ids.groupBy("part")).applyInArrow(_weigh(hot, unigrams, bigrams), ROW)
     answers = ids.select("kind", "block", "part", "payload").unionByName(counted.filter("kind = 'counts'")).unionByName(weights)
-    scored = by_block(blocks, answers).applyInArrow(_score(slices, hot, unigrams, bigrams, hot_weight, starts), "doc_id long, n_tokens long, n_known long, base_score double, score double")
+    scored = by_block(blocks, answers).applyInArrow(_score(slices, hot, unigrams, bigrams, hot_weight, starts), f"doc_id {docs.schema[key].dataType.simpleString()}, n_tokens long, n_known long, base_score double, score double")
     return scored.select(F.col("doc_id").alias(key), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")

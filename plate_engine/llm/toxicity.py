@@ -6,14 +6,17 @@ languages rarely repeat a whole word.  Every term of a labelled text has a weigh
 or count: TF-IDF, with document frequencies over *all* documents, times 1 + |z|, z being the signed root of the
 chi-square statistic of the term with the label over all training texts.  So a short abusive passage is not drowned
 by thousands of neutral words, which keep their TF-IDF weight.  A term that no labelled text holds can match none and is not
-weighed.  At most ``examples`` labelled documents are learnt from, those of the lowest id hashes;
-their distinct texts form the index: per term, postings in blocks of 64, each block with its largest weight.
-
-Scoring: a text's vector is matched against the index and its ``neighbours`` nearest examples are found
-exactly.  Words are taken by falling upper bound, some shares of their postings at a time; once the words left can't lift a new example over the
-current k-th score only known candidates are completed, and blocks that can't lift one of them are skipped.  Equal scores
-go to the lower example number.  Their labels vote with weight 1 / (distance + eps); the vote, binned
-and made monotone by pooling on leave-one-out votes of the examples, is the score.  A text without a term of the
+weighed.  At most ``TOXIC`` toxic and ``OTHER`` other labelled documents are learnt from, those of the lowest id hashes;
+their distinct texts form the index: per term, postings in blocks of 64 neighbouring example numbers, each block with its
+largest weight.
+
+Scoring: a text's vector is matched against the index and its ``k`` nearest examples are found
+exactly.  Terms are taken by falling upper bound, some shares of their postings at a time.  After each share the blocks'
+largest weights bound what the terms left can add to the examples of a block; an example that can't reach the k-th score
+any more is out, and once completing the others from their own vectors is less work than the postings left, that
+ends the search.  Equal scores go to the lower example number.  The labels vote with weight 1 / (distance + eps); the vote,
+binned and made monotone by pooling on leave-one-out votes of the examples, is the score.  In the pooling an example counts
+for all labelled rows of its label, so the share of toxic ones is that of the labels and not of the sample.  A text without a term of the
 examples has no neighbours and gets the rate of such examples.
 
 Defined cases: a null text counts as empty (no neighbours); ties as above; repeated rows are scored each;
@@ -32,13 +35,17 @@ from pyspark import Broadcast
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, labelled_texts, ragged, text_array
+from .common import by_bytes, distinct_texts, ragged, text_array
 
 BLOCK = 64
 EPS = 0.05
+STEMS = (4, 5)
+#: For sums of single-precision weights in another order.
+SLACK = 1e-9
 BINS = 20
 BATCH_BYTES = 8 << 20
-EXAMPLES = 20_000
+#: Labelled rows to learn from, at most, of each label.
+TOXIC, OTHER = 1000, 2000
 #: Shares of a text's postings after which the search looks whether it can stop.
 LOOKS = (0.1, 0.4)
 #: ASCII white space, control characters and punctuation become spaces, capitals lower case.
@@ -81,71 +88,83 @@ def term_counts(texts: pa.Array, number: dict[str, int], grow: bool = False) ->
     return pair // max(1, len(number)), pair % max(1, len(number)), n
 
 
+def _grouped(key: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The order that sorts ``key`` (kept stable) and where each of the n keys starts in it."""
+    return np.argsort(key, kind="stable"), np.concatenate([[0], np.cumsum(np.bincount(key, minlength=n))]).astype(np.int64)
+
+
 @dataclass
 class BlockMaxIndex:
-    """Postings of L2-normalised examples, word by word, with the largest weight of every block."""
+    """L2-normalised examples by term, with the largest weight of every block, and by example."""
 
     starts: np.ndarray
     example: np.ndarray
     weight: np.ndarray
     n_examples: int
     block_starts: np.ndarray
+    block: np.ndarray
     block_max: np.ndarray
     top: np.ndarray
+    own_starts: np.ndarray
+    own_word: np.ndarray
+    own_weight: np.ndarray
 
     @classmethod
     def build(cls, word: np.ndarray, example: np.ndarray, weight: np.ndarray, n_words: int, n_examples: int) -> BlockMaxIndex:
-        order = np.lexsort((example, word))
-        starts = np.concatenate([[0], np.cumsum(np.bincount(word, minlength=n_words))]).astype(np.int64)
-        number = np.uint16 if n_examples <= 1 << 16 else np.int32
-        weight = weight[order]
-        blocks = -(-np.diff(starts) // BLOCK)
-        block_starts = np.concatenate([[0], np.cumsum(blocks)]).astype(np.int64)
-        firsts = np.repeat(starts[:-1], blocks) + BLOCK * ragged(np.zeros(n_words, np.int64), blocks)
-        block_max = np.maximum.reduceat(weight, firsts) if len(firsts) else np.zeros(0)
+        order = np.lexsort((word, example))
+        word, example, weight = word[order].astype(np.int32), example[order].astype(np.int32), weight[order]
+        _, own_starts = _grouped(example, n_examples)
+        order, starts = _grouped(word, n_words)
+        by_word, postings, values = word[order], example[order], weight[order]
+        firsts = np.flatnonzero(np.concatenate([[True], (by_word[1:] != by_word[:-1]) | (postings[1:] // BLOCK != postings[:-1] // BLOCK)])) if len(order) else np.zeros(0, np.int64)
+        block_max = np.maximum.reduceat(values, firsts) if len(firsts) else np.zeros(0)
+        _, block_starts = _grouped(by_word[firsts], n_words)
         top = np.zeros(n_words)
-        top[blocks > 0] = np.maximum.reduceat(block_max, block_starts[:-1][blocks > 0]) if len(firsts) else 0.0
-        return cls(starts, example[order].astype(number), weight, n_examples, block_starts, block_max, top)
+        np.maximum.at(top, by_word[firsts], block_max)
+        return cls(starts, postings, values, n_examples, block_starts, postings[firsts] // BLOCK, block_max, top, own_starts, word, weight)
+
+    def completed(self, who: np.ndarray, words: np.ndarray, weights: np.ndarray) -> np.ndarray:
+        """Cosines of the examples ``who``, from their own vectors."""
+        sizes = self.own_starts[who + 1] - self.own_starts[who]
+        place = ragged(self.own_starts[who], sizes)
+        query = np.zeros(len(self.top))
+        query[words] = weights
+        return np.bincount(np.repeat(np.arange(len(who)), sizes), query[self.own_word[place]] * self.own_weight[place], len(who))
 
     def nearest(self, words: np.ndarray, weights: np.ndarray, k: int, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """The k examples of largest cosine (all positive), by (cosine desc, number), without ``skip``."""
-        tops = self.top[words] * weights
-        order = np.lexsort((words, -tops))
-        rest = np.concatenate([np.cumsum(tops[order][::-1])[::-1], [0.0]])
+        if not len(words):
+            return np.zeros(0, np.int64), np.zeros(0)
+        order = np.argsort(-self.top[words] * weights, kind="stable")
         sizes = (self.starts[words + 1] - self.starts[words])[order]
         reach = np.cumsum(sizes)
         score = np.zeros(self.n_examples)
-        known: np.ndarray | None = None
-        done = 0
-        for stop in [*(int(np.searchsorted(reach, share * reach[-1])) + 1 for share in LOOKS if len(order)), len(order)]:
+        mean, done = len(self.own_word) / max(1, self.n_examples), 0
+        least = max(0, self.n_examples - k - 1)
+        for share in (*LOOKS, 1.0):
+            stop = len(order) if share == 1 else int(np.searchsorted(reach, share * reach[-1])) + 1
             if stop <= done:
                 continue
             at = order[done:stop]
             place = ragged(self.starts[words[at]], sizes[done:stop])
             score += np.bincount(self.example[place], self.weight[place] * np.repeat(weights[at], sizes[done:stop]), self.n_examples)
-            done = stop
-            if done == len(order) or rest[done] >= score.max():
-                continue
-            seen = np.flatnonzero(score)
-            if len(seen) > k + 1 and rest[done] < np.partition(score[seen], len(seen) - k - 1)[len(seen) - k - 1]:
-                known = seen  # no example unseen so far can enter
+            done, left = stop, order[stop:]
+            floor = np.partition(score, least)[least] if self.n_examples > k + 1 else 0.0
+            if not len(left):
+                break
+            blocks = self.block_starts[words[left] + 1] - self.block_starts[words[left]]
+            place = ragged(self.block_starts[words[left]], blocks)
+            more = np.bincount(self.block[place], self.block_max[place] * np.repeat(weights[left], blocks), -(-self.n_examples // BLOCK))
+            open_ = np.flatnonzero(score + np.repeat(more, BLOCK)[: self.n_examples] >= floor - SLACK)
+            if len(open_) * mean < reach[-1] - reach[done - 1]:
                 break
-        for rank in range(done, len(order)):
-            w, q = int(words[order[rank]]), float(weights[order[rank]])
-            a, b = int(self.starts[w]), int(self.starts[w + 1])
-            floor = np.partition(score[known], len(known) - k - 1)[len(known) - k - 1]
-            known = known[score[known] + rest[rank] >= floor]
-            place = np.searchsorted(self.example[a:b], known)
-            inside = place < b - a
-            place, who = place[inside], known[inside]
-            lift = score[who] + q * self.block_max[self.block_starts[w] + place // BLOCK] + rest[rank + 1] >= floor
-            place, who = place[lift], who[lift]
-            match = self.example[a + place] == who
-            score[who[match]] += q * self.weight[a + place[match]]
-        seen = np.flatnonzero(score) if known is None else known
-        seen = seen[seen != skip]
-        best = seen[np.lexsort((seen, -score[seen]))[:k]]
-        return best, np.minimum(score[best], 1.0)
+        if done == len(order):
+            open_ = np.flatnonzero(score >= max(floor - SLACK, 1e-12))
+        open_ = open_[open_ != skip]
+        cosine = self.completed(open_, words, weights)
+        open_, cosine = open_[cosine > 0], np.round(cosine[cosine > 0], 12)
+        best = np.lexsort((open_, -cosine))[:k]
+        return open_[best], np.minimum(cosine[best], 1.0)
 
 
 @dataclass
@@ -209,10 +228,23 @@ def _pooled(rates: list[float], sizes: list[float]) -> np.ndarray:
     return np.array([r for r, _, c in stack for _ in range(int(c))])
 
 
-def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str = "text") -> NeighbourModel | None:
+def examples(docs: DataFrame, marks: DataFrame, where: Column | None = None, toxic: int = TOXIC, other: int = OTHER, label: str = "toxic") -> tuple[DataFrame, dict[int, float]]:
+    """Distinct texts (h, t, y) of at most ``toxic`` and ``other`` labelled documents, the lowest id hashes of each label,
+    and for how many labelled documents one of each label stands."""
+    marks = marks.filter(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
+    marks = marks.filter(where) if where is not None else marks
+    marks = marks.groupBy("doc_id").agg(F.max((F.col(label) > 0).cast("int")).alias("y"))
+    total = {r["y"]: r["n"] for r in marks.groupBy("y").agg(F.count("*").alias("n")).collect()}  # two rows
+    most = {0: other, 1: toxic}
+    parts = [marks.filter(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for y, n in most.items()]
+    return distinct_texts(docs, parts[0].union(parts[1])), {y: max(1.0, total.get(y, 0) / n) for y, n in most.items()}
+
+
+def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str = "text", stands: dict[int, float] | None = None) -> NeighbourModel | None:
     """Learn from rows (h, t, y) of distinct texts; document frequencies are those of ``docs``, else of ``texts``.
 
-    The driver gets the terms and a sparse vector a text; the number of texts is bounded by ``labelled_texts``.
+    ``stands``: for how many labelled documents a text of each label counts.  The driver gets the terms and a sparse
+    vector a text; the number of texts is bounded by ``examples``.
     """
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -260,7 +292,8 @@ def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str
             yield pa.RecordBatch.from_pydict({"h": table.column("h").combine_chunks(), "y": table.column("y").combine_chunks(), "w": pa.array([x.astype(np.int32) for x, _ in got], pa.list_(pa.int32())), "v": pa.array([x.astype(np.float32) for _, x in got], pa.list_(pa.float32()))})
 
     found = texts.mapInArrow(vectorise, "h long, y int, w array<int>, v array<float>").toArrow()
-    order = np.argsort(found.column("h").to_numpy())
+    # Toxic examples are neighbours, so the blocks' largest weights tell them from the others.
+    order = np.lexsort((found.column("h").to_numpy(), -found.column("y").to_numpy()))
     label, example_hash = found.column("y").to_numpy().astype(np.int64)[order], found.column("h").to_numpy()[order]
     place = np.empty(len(order), np.int32)
     place[order] = np.arange(len(order))
@@ -273,19 +306,22 @@ def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str
 
     def left_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = sent.model()
+        by_hash = np.argsort(own.example_hash)
         for table in by_bytes(batches, "t", BATCH_BYTES):
-            at = np.searchsorted(own.example_hash, table.column("h").to_numpy())
+            at = by_hash[np.searchsorted(own.example_hash, table.column("h").to_numpy(), sorter=by_hash)]
             votes = [own.vote(w, v, skip=int(i))[0] for i, (w, v) in zip(at, own.vectors(text_array(table.column("t"))), strict=True)]
             yield pa.RecordBatch.from_pydict({"i": pa.array(at, pa.int64()), "vote": pa.array(votes, pa.float64())})
 
     # Each search is long, so the texts are dealt to all cores.
     spread_out = texts.select("h", "t").repartition(4 * sc.defaultParallelism, "h")
     votes = spread_out.mapInArrow(left_out, "i long, vote double").toArrow().sort_by("i").column("vote").to_numpy()
-    bare = float((label[votes < 0].sum() + 0.0) / max(1, (votes < 0).sum()))
+    count = np.where(label > 0, (stands or {}).get(1, 1.0), (stands or {}).get(0, 1.0))
+    alone = votes < 0
+    bare = float((label * count)[alone].sum() / max(1.0, count[alone].sum()))
     edges = np.linspace(0, 1, BINS + 1)[1:-1]
-    bins = np.searchsorted(edges, votes[votes >= 0], side="right")
-    size = np.bincount(bins, minlength=BINS).astype(float)
-    hit = np.bincount(bins, label[votes >= 0], BINS)
+    bins = np.searchsorted(edges, votes[~alone], side="right")
+    size = np.bincount(bins, count[~alone], BINS)
+    hit = np.bincount(bins, (label * count)[~alone], BINS)
     # An empty bin stands for its middle, with little weight.
     level = _pooled(list((hit + 0.5 * (np.arange(BINS) + 0.5) / BINS) / (size + 0.5)), list(size + 0.5))
     return NeighbourModel(words, scale, index, label, example_hash, k, edges, level, bare, replace(sent, edges=edges, level=level, bare=bare))
@@ -311,20 +347,29 @@ def scored(docs: DataFrame, model: NeighbourModel | None, threshold: float = 0.7
     return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(score, f"`{key}` {kind}, score double, predicted int, evidence array<struct<example:long,toxic:int,cosine:double>>")
 
 
-def toxicity(docs: DataFrame, marks: DataFrame, train: Column | None = None, examples: int = EXAMPLES, **options) -> DataFrame:
-    """Scores of every row of ``docs``, learnt from at most ``examples`` labelled documents that meet ``train``."""
-    return scored(docs, fit(labelled_texts(docs, marks, "toxic", examples, train), docs), **options)
+def learnt(docs: DataFrame, marks: DataFrame, train: Column | None = None, toxic: int = TOXIC, other: int = OTHER) -> NeighbourModel | None:
+    """The model of at most ``toxic`` and ``other`` labelled documents that meet ``train``."""
+    texts, stands = examples(docs, marks, train, toxic, other)
+    return fit(texts, docs, stands=stands)
+
+
+def toxicity(docs: DataFrame, marks: DataFrame, train: Column | None = None, **options) -> DataFrame:
+    """Scores of every row of ``docs``, learnt from labelled documents that meet ``train``."""
+    return scored(docs, learnt(docs, marks, train), **options)
 
 
-def keep_clean(docs: DataFrame, marks: DataFrame, threshold: float = 0.7) -> DataFrame:
+def keep_clean(docs: DataFrame, marks: DataFrame, threshold: float = 0.7, text: str = "text") -> DataFrame:
     """The rows of ``docs`` that score below ``threshold``, with its columns."""
-    model = fit(labelled_texts(docs, marks, "toxic", EXAMPLES), docs)
+    model = learnt(docs, marks)
     sent = model.sent if model else None
+    place = docs.columns.index(text)
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = sent.model() if sent else None
-        for table in by_bytes(batches, "text", BATCH_BYTES):
-            low = [m.calibrated(m.vote(w, v)[0]) < threshold for w, v in m.vectors(text_array(table.column("text")))] if m else [True] * table.num_rows
-            yield from table.filter(pa.array(low, pa.bool_())).to_batches()
+        for batch in batches:
+            # By place, since other columns may have any name.
+            for table in by_bytes(iter([batch.rename_columns([f"c{i}" for i in range(batch.num_columns)])]), f"c{place}", BATCH_BYTES):
+                low = [m.calibrated(m.vote(w, v)[0]) < threshold for w, v in m.vectors(text_array(table.column(place)))] if m else [True] * table.num_rows
+                yield from table.rename_columns(batch.schema.names).filter(pa.array(low, pa.bool_())).to_batches()
 
     return docs.mapInArrow(keep, docs.schema)

@@ -117,7 +117,7 @@ def test_toxic_documents_are_found(spark, marked, awkward):
     assert all(r["predicted"] == r["toxic"] for r in got)
     hit = next(r for r in got if r["toxic"])
     assert hit["evidence"] and all(e["toxic"] == 1 for e in hit["evidence"]) and 0 <= hit["score"] <= 1
-    more = toxicity.scored(awkward, toxicity.fit(toxicity.labelled_texts(docs, marks, "toxic", 1000))).collect()
+    more = toxicity.scored(awkward, toxicity.fit(common.labelled_texts(docs, marks, "toxic", 1000))).collect()
     assert len(more) == len(AWKWARD) and all(0 <= r["score"] <= 1 for r in more)
     kept = toxicity.keep_clean(docs, marks)
     assert kept.columns == docs.columns and kept.join(marks, "doc_id").filter("toxic = 1").count() == 0 and kept.count() == 180
@@ -134,7 +134,7 @@ def test_every_term_of_a_labelled_text_weighs(spark):
     texts = hot + rare + good
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     marks = spark.createDataFrame([(i, int(i < 303)) for i in range(len(texts))], "doc_id long, toxic int")
-    model = toxicity.fit(toxicity.labelled_texts(docs, marks.filter("doc_id not in (294, 295, 296)"), "toxic", 5000), docs)
+    model = toxicity.fit(common.labelled_texts(docs, marks.filter("doc_id not in (294, 295, 296)"), "toxic", 5000), docs)
     assert {"=" + w for t in texts[297:] for w in t.split()} <= set(model.words)
     n, toxic, held = len(texts) - 3, 300, 6  # nine documents hold the word, six of them labelled
     z = (held - held * toxic / n) / np.sqrt(held * toxic / n * (1 - toxic / n) * (1 - held / n))
@@ -173,7 +173,7 @@ def test_quality_is_learnt(spark, marked, awkward):
     docs, marks = marked
     got = quality_model.quality(docs, marks, train=F.col("doc_id") < 160).join(marks, "doc_id").filter("doc_id >= 160").collect()
     assert sum(r["predicted"] == r["quality"] for r in got) >= 0.9 * len(got)
-    model = quality_model.fit(toxicity.labelled_texts(docs, marks, "quality", 1000), epochs=3)
+    model = quality_model.fit(common.labelled_texts(docs, marks, "quality", 1000), epochs=3)
     more = quality_model.scored(awkward, model).collect()
     assert len(more) == len(AWKWARD) and all(0 <= r["score"] <= 1 for r in more)
     assert {r["score"] for r in quality_model.quality(docs, marks.limit(0)).collect()} == {0.5}

@@ -13,7 +13,7 @@ def test_stages_take_effect(spark):
     left = {r["doc_id"] for r in rows.select("doc_id").distinct().collect()}
     kept = quality_rules.verdicts(docs, marks).filter("kept").select("doc_id")
     good = docs.join(kept, "doc_id", "left_semi")
-    model = toxicity.fit(toxicity.labelled_texts(good, marks, "toxic", toxicity.EXAMPLES))
+    model = toxicity.learnt(good, marks)
     clean = good.join(toxicity.scored(good, model).filter("score < 0.7").select("doc_id"), "doc_id", "left_semi")
     classes = near_dedup.near_classes(clean).agg(F.collect_set("class_id")).first()[0]
     assert left == set(classes)
