@@ -30,7 +30,7 @@ from .common import stored
 from .quality_rules import WORD_GAP, _let
 
 #: Cells in a third of a fingerprint, how much larger the next try's sketch is (cells not in use take no room), and tries.
-SMALLEST, GROWTH, ATTEMPTS = 16, 16, 8
+SMALLEST, GROWTH, ATTEMPTS = 64, 16, 8
 SCALE = 32
 PEEL_ROUNDS = 40
 CELL = "struct<p:bigint,n:int,x:bigint,c:bigint>"
