@@ -14,6 +14,10 @@ from .template import build_template, make_schedule
 WHOLE = ("tinyint", "smallint", "int", "bigint")
 
 
+#: From so many components on the block layout is chosen.
+BLOCK_TOPICS = 16
+
+
 class Handle:
     """What a user does with one variable: ``model["x"].observe(...)``, ``model["phi"].posterior()``."""
 
@@ -132,11 +136,21 @@ class BoundModel:
     def schedule(self) -> list[list[Rv]]:
         return make_schedule(self.template, self.observed())
 
-    def infer(self, steps: int, callback: Callable | None = None, checkpoint_every: int = 1, init: Callable[[list[str]], tuple[Column, Column]] | None = None, cache: bool = True) -> BoundModel:
+    def infer(self, steps: int, callback: Callable | None = None, checkpoint_every: int = 1, init: Callable[[list[str]], tuple[Column, Column]] | None = None, cache: bool = True, layout: str = "auto") -> BoundModel:
+        """Run the rounds.  ``layout``: ``long`` (any model), ``block`` (topic models whose components fit on a worker), or
+        ``auto``: the block layout for such models with ``BLOCK_TOPICS`` components or more, where it is the faster one."""
+        from ..plans.blocks import BlockEngine, fits, roles
         from ..vmp.engine import LongEngine
 
         self.check_ready()
-        self.engine = LongEngine(self, init, checkpoint_every, cache)
+        found = roles(self) if layout != "long" and init is None else None
+        if found:
+            size, topics = (int(g.dimension.value(self.env)) for g in (found.phi, found.theta))
+            if layout == "auto" and not (topics >= BLOCK_TOPICS and fits(size, topics)):
+                found = None
+        elif layout == "block":
+            raise ModelError("the block layout runs topic models only, from their standard start")
+        self.engine = BlockEngine(self, found) if found else LongEngine(self, init, checkpoint_every, cache)
         self.engine.run(steps, callback)
         return self
 

@@ -2,11 +2,12 @@
 
 The corpus is packed once into blocks of whole documents (the tailored placement: a document's variables never
 leave their block).  A round is one pass over the blocks with the components' expected logs replicated, if their
-size allows; every block returns its new document state and its sums per component, cut by ranges of outcomes, which one
-shuffle adds up.  Responsibilities live for a slice of a block only.  Models without a shared component run all
-rounds inside the block, with no shuffle at all.
+size allows; every block returns its new document state and its sums for the outcomes it holds, cut by ranges of
+outcomes.  One shuffle brings a range together, where its parts are added up one by one.  Responsibilities live for a slice of a
+block only.  Models without a shared component run all rounds inside the block, with no shuffle at all.
 
-State tables are written to the shared folder every round's end by the checkpoint rule of the long layout.
+What a round makes is written as a table in the shared folder and read by the next, which cuts the lineage; the
+table before the last is deleted.  ``BlockEngine`` runs a bound model of this shape (see ``roles``).
 """
 
 from __future__ import annotations
@@ -21,7 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.special import digamma_np, log_gamma_np
-from ..runtime.loop import checkpointed
+from ..lang.builder import ModelError, Rv
+from ..runtime.loop import Scratch, View
 from ..runtime.timing import Stopwatch
 
 #: Replicated components may take so many bytes; beyond, use the long layout (its join is by outcome).
@@ -29,6 +31,10 @@ BROADCAST_BYTES = 1 << 30
 SLICE = 1 << 15
 
 
+def fits(v: int, k: int) -> bool:
+    return v * k * 8 <= BROADCAST_BYTES
+
+
 def _pack(*arrays: np.ndarray) -> list[bytes]:
     return [np.ascontiguousarray(a).tobytes() for a in arrays]
 
@@ -102,16 +108,15 @@ def _kl_rows(gamma: np.ndarray, prior: float) -> float:
 class BlockTopics:
     """LDA and, with sentences, the model of one topic a sentence."""
 
-    def __init__(self, tokens: DataFrame, k: int, v: int, alpha: float, beta: float, blocks: int, sentences: bool = False, checkpoint_every: int = 10):
-        if v * k * 8 > BROADCAST_BYTES:
+    def __init__(self, tokens: DataFrame, k: int, v: int, alpha: float, beta: float, blocks: int, sentences: bool = False, clock: Stopwatch | None = None):
+        if not fits(v, k):
             raise ValueError(f"{v} x {k} components don't fit in {BROADCAST_BYTES} bytes; use the long layout")
         self.spark, self.k, self.v, self.alpha, self.beta = tokens.sparkSession, k, v, alpha, beta
-        self.sentences, self.checkpoint_every = sentences, checkpoint_every
-        self.clock = Stopwatch()
+        self.sentences, self.folder = sentences, Scratch(tokens.sparkSession)
+        self.clock = clock or Stopwatch()
         self.ranges = max(1, min(64, v * k // 200_000))
         with self.clock.stage("graph construction"):
-            self.corpus = pack_corpus(tokens, blocks, sentences).persist()
-            self.corpus.count()
+            self.corpus = self.folder.table(pack_corpus(tokens, blocks, sentences), "corpus")
         self.phi = np.zeros((v, k))
         self.theta: DataFrame | None = None
         self.history: list[tuple[int, float, float]] = []
@@ -127,7 +132,8 @@ class BlockTopics:
                     theta = np.full((len(c.docs), k), alpha)
                     e_theta = None if first else _expected(np.frombuffer(row["theta"], np.float64).reshape(-1, k))
                     e_phi = None if first else held.value
-                    sums, logs = np.zeros((v, k)), 0.0
+                    held_words, word_at = np.unique(c.w, return_inverse=True)
+                    sums, logs = np.zeros((len(held_words), k)), 0.0
                     units = len(c.unit_doc)
                     edges = np.append(c.unit_first, len(c.w))
                     for a in range(0, units, SLICE):
@@ -148,55 +154,64 @@ class BlockTopics:
                         starts = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
                         theta[own[starts]] += np.add.reduceat(m, starts, axis=0)
                         token = c.n[lo:hi, None] * r[c.unit[lo:hi] - a] if sentences else m
-                        order = np.argsort(c.w[lo:hi], kind="stable")
-                        w = c.w[lo:hi][order]
+                        order = np.argsort(word_at[lo:hi], kind="stable")
+                        w = word_at[lo:hi][order]
                         starts = np.flatnonzero(np.concatenate([[True], w[1:] != w[:-1]]))
                         sums[w[starts]] += np.add.reduceat(token[order], starts, axis=0)
                     minus = 0.0 if first else _kl_rows(np.frombuffer(row["theta"], np.float64).reshape(-1, k), alpha)
                     rows = [("theta", row["block"], theta.tobytes(), logs - minus)]
-                    for p in range(ranges):
-                        part = sums[p * step : (p + 1) * step]
-                        rows.append(("phi", p, part.tobytes(), 0.0))
-                    kind, at, data, value = zip(*rows, strict=True)
-                    yield pa.RecordBatch.from_arrays([pa.array(kind), pa.array(at, pa.int64()), pa.array(data, pa.binary()), pa.array(value, pa.float64())], ["kind", "at", "data", "value"])
+                    cuts = np.searchsorted(held_words, np.arange(ranges + 1) * step)
+                    for p, (lo, hi) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
+                        if hi > lo:
+                            rows.append(("phi", p, (held_words[lo:hi] - p * step).astype("<i8").tobytes() + sums[lo:hi].tobytes(), 0.0))
+                    for kind, at, data, value in rows:  # one row a batch, since each is large
+                        yield pa.RecordBatch.from_arrays([pa.array([kind]), pa.array([at], pa.int64()), pa.array([data], pa.binary()), pa.array([value], pa.float64())], ["kind", "at", "data", "value"])
 
         return run
 
     def _pass(self, t: int) -> float:
-        first = t == 0
+        first, k = t == 0, self.k
+        step = -(-self.v // self.ranges)
         held = None if first else self.spark.sparkContext.broadcast(_expected(self.phi.T).T.copy())
         rows = self.corpus if first else self.corpus.join(self.theta, "block")
-        out = rows.mapInArrow(self._round(held, first), "kind string, at long, data binary, value double").persist()
-        total = F.col("value")
-        bound = out.filter("kind = 'theta'").agg(F.sum(total)).first()[0] or 0.0
+        out = self.folder.table(rows.mapInArrow(self._round(held, first), "kind string, at long, data binary, value double"), "round", ["kind"])
+        bound = out.filter("kind = 'theta'").agg(F.sum("value")).first()[0] or 0.0
 
-        def add(key: tuple, table: pa.Table) -> pa.Table:
-            parts = [np.frombuffer(x, np.float64) for x in table.column("data").to_pylist()]
-            return pa.table({"at": [key[0].as_py()], "data": [np.sum(parts, axis=0).tobytes()]})
-
-        sums = out.filter("kind = 'phi'").groupBy("at").applyInArrow(add, "at long, data binary").collect()  # V x K numbers, bounded above
+        def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            """The parts of a range, which follow one another, added up."""
+            at, total = None, np.zeros((step, k))
+            for batch in batches:
+                for p, data in zip(batch.column("at").to_pylist(), batch.column("data"), strict=True):
+                    if p != at and at is not None:
+                        yield pa.RecordBatch.from_pydict({"at": [at], "data": [total.tobytes()]})
+                        total[:] = 0.0
+                    at = p
+                    raw = data.as_buffer()
+                    n = raw.size // (8 + 8 * k)
+                    total[np.frombuffer(raw, "<i8", n)] += np.frombuffer(raw, "<f8", n * k, 8 * n).reshape(n, k)
+            if at is not None:
+                yield pa.RecordBatch.from_pydict({"at": [at], "data": [total.tobytes()]})
+
+        parts = out.filter("kind = 'phi'").select("at", "data").repartition("at").sortWithinPartitions("at")
+        sums = parts.mapInArrow(add, "at long, data binary").toArrow()  # V x K numbers, bounded above
         minus = 0.0 if first else _kl_phi(self.phi, self.beta)
-        step = -(-self.v // self.ranges)
-        phi = np.empty((self.v, self.k))
-        for row in sums:
-            part = np.frombuffer(row["data"], np.float64).reshape(-1, self.k)
-            phi[row["at"] * step : row["at"] * step + len(part)] = part
-        self.phi = phi + self.beta
-        theta = out.filter("kind = 'theta'").select(F.col("at").alias("block"), F.col("data").alias("theta"))
-        theta = checkpointed(theta) if t % self.checkpoint_every == 0 else theta.persist()
-        theta.count()
-        if self.theta is not None:
-            self.theta.unpersist()
-        out.unpersist()
-        self.theta = theta
+        self.phi = np.full((self.ranges * step, k), self.beta)
+        for p, data in zip(sums.column("at").to_pylist(), sums.column("data").to_pylist(), strict=True):
+            self.phi[p * step : (p + 1) * step] += np.frombuffer(data, "<f8").reshape(step, k)
+        self.phi = self.phi[: self.v]
+        self.theta = out.filter("kind = 'theta'").select(F.col("at").alias("block"), F.col("data").alias("theta"))
+        self.folder.forget("round", keep=1)
         if held is not None:
-            held.unpersist()
+            held.destroy()
         return bound - minus
 
     def infer(self, steps: int, callback: Callable | None = None) -> BlockTopics:
+        """``steps`` rounds after the start; ``callback`` gets the history and ends the rounds by False."""
         with self.clock.stage("inference"):
             began = time.perf_counter()
             self._pass(0)
+            if callback and callback(self.history) is False:
+                return self
             for t in range(1, steps + 1):
                 bound = self._pass(t)
                 self.history.append((t, bound, time.perf_counter() - began))
@@ -223,6 +238,73 @@ class BlockTopics:
         return self.corpus.select("block", "d").join(self.theta, "block").mapInArrow(listed, "docs long, j long, gamma double")
 
 
+@dataclass
+class Roles:
+    """The variables of a topic model: components, proportions of the documents, topics, outcomes."""
+
+    phi: Rv
+    theta: Rv
+    z: Rv
+    x: Rv
+
+
+def roles(model) -> Roles | None:
+    """The roles if ``model`` is of the shape this layout runs: one shared prior with a plate of known size, one
+    prior a document, a topic per outcome or per group of outcomes, and an observed outcome that the topic picks."""
+    rvs = model.spec.rvs
+    priors, discrete = [r for r in rvs if r.kind != "categorical"], [r for r in rvs if r.kind == "categorical"]
+    if len(priors) != 2 or len(discrete) != 2 or len(model.bases) != 1:
+        return None
+    x = next((r for r in discrete if r.parent.selectors), None)
+    z = next((r for r in discrete if not r.parent.selectors), None)
+    if x is None or z is None or list(x.parent.selectors) != [z] or model.observed() != {x.rid}:
+        return None
+    phi, theta = x.parent.prior, z.parent.prior
+    if phi is theta or phi.plate is None or theta.plate is None or len(phi.chain()) != 1 or phi.plate.size is None or len(theta.chain()) != 1 or theta.plate.size is not None:
+        return None
+    inside = [p.name for p in x.plate.chain()]
+    same = z.plate is x.plate and inside == [theta.plate.name, x.plate.name] and not model.own_key[x.plate.name]
+    grouped = inside == [theta.plate.name, z.plate.name, x.plate.name] and not model.own_key[x.plate.name]
+    return Roles(phi, theta, z, x) if same or grouped else None
+
+
+class BlockEngine:
+    """A bound model of that shape in the block layout, behind the interface of the long one."""
+
+    def __init__(self, model, found: Roles, blocks: int | None = None):
+        self.model, self.roles = model, found
+        plate = found.x.plate
+        base = model.bases[plate.name]
+        names = [found.theta.plate.name, *([found.z.plate.name] if found.z.plate is not plate else [])]
+        columns = [F.col(c).cast("long").alias(a) for c, a in zip([*names, found.x.name], ["d", "s", "w"] if len(names) > 1 else ["d", "w"], strict=True)]
+        constant = lambda g: (float(g.concentration.value(model.env)), int(g.dimension.value(model.env)))
+        (beta, v), (alpha, k) = constant(found.phi), constant(found.theta)
+        self.alpha, self.beta = alpha, beta
+        blocks = blocks or max(model.spark.sparkContext.defaultParallelism, int(model.spark.conf.get("spark.sql.shuffle.partitions")))
+        self.topics = BlockTopics(base.select(*columns, "n"), k, v, alpha, beta, blocks, sentences=len(names) > 1, clock=model.clock)
+
+    @property
+    def history(self) -> list[tuple[int, float, float]]:
+        return self.topics.history
+
+    def run(self, steps: int, callback: Callable | None = None) -> None:
+        self.topics.infer(steps, (lambda past: callback(View(self.model, past[-1][0] if past else 0))) if callback else None)
+
+    def lower_bound(self) -> float:
+        return self.history[-1][1] if self.history else float("-inf")
+
+    def posterior(self, v: Rv, dense: bool = False) -> DataFrame:
+        if v is self.roles.phi:
+            got, key, prior = self.topics.topics().withColumnRenamed("topics", v.plate.name), v.plate.name, self.beta
+        elif v is self.roles.theta:
+            got, key, prior = self.topics.proportions().withColumnRenamed("docs", v.plate.name), v.plate.name, self.alpha
+        else:
+            raise ModelError("the block layout keeps no posterior of single outcomes; infer with layout='long'")
+        totals = got.groupBy(key).agg(F.sum("gamma").alias("total"))
+        got = got if dense else got.filter(F.col("gamma") > prior)
+        return got.join(totals, key).select(key, "j", "gamma", (F.col("gamma") / F.col("total")).alias("mean"))
+
+
 def _kl_phi(phi: np.ndarray, beta: float) -> float:
     return _kl_rows(phi.T, beta)
 

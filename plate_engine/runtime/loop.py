@@ -3,12 +3,14 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
 @dataclass
@@ -38,13 +40,44 @@ def stop_on_elbo(rel: float = 1e-3, min_rounds: int = 2) -> Callable[[View], boo
     return go_on
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the folder the cluster names; an own folder only where none is named."""
-    sc = df.sparkSession.sparkContext
+def shared_folder(spark: SparkSession) -> str:
+    """The checkpoint folder that the cluster names; one of our own only in local mode."""
+    sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+        named = spark.conf.get("spark.checkpoint.dir", None)
         if named is None:
+            if not re.fullmatch(r"local(\[[\d*, ]+\])?", sc.master):
+                raise RuntimeError("name a folder that driver and executors share in spark.checkpoint.dir")
             named = tempfile.mkdtemp(prefix="plates-")
             atexit.register(shutil.rmtree, named, True)
         sc.setCheckpointDir(named)
+    return sc.getCheckpointDir()
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """A reliable checkpoint in the shared folder."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+class Scratch:
+    """Tables in the shared folder, for state that the rounds pass on."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.root = spark, f"{shared_folder(spark)}/rounds-{uuid.uuid4().hex}"
+        self.paths: dict[str, list[str]] = {}
+
+    def table(self, df: DataFrame, what: str, partition_by: list[str] | None = None) -> DataFrame:
+        """``df`` written and read again."""
+        path = f"{self.root}/{what}-{len(self.paths.get(what, []))}-{uuid.uuid4().hex[:8]}"
+        writer = df.write.option("compression", "zstd")
+        (writer.partitionBy(*partition_by) if partition_by else writer).parquet(path)
+        self.paths.setdefault(what, []).append(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def forget(self, what: str, keep: int = 0) -> None:
+        """Delete all tables of the name but the last ``keep``."""
+        sc = self.spark.sparkContext
+        while len(self.paths.get(what, [])) > keep:
+            path = sc._jvm.org.apache.hadoop.fs.Path(self.paths[what].pop(0))
+            path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)

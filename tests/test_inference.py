@@ -73,7 +73,7 @@ def test_layouts_agree_with_the_local_baseline(spark, small):
     got = {(r["docs"], r["j"]): r["gamma"] for r in m["theta"].posterior().collect()}
     assert all(abs(got[i, j] - theta[i, j]) < 1e-8 for i in range(theta.shape[0]) for j in range(3))
     assert m["phi"].posterior(dense=True).count() == 60
-    block = BlockTopics(frame(spark, small), 3, 20, 0.3, 0.1, blocks=3, checkpoint_every=2).infer(4)
+    block = BlockTopics(frame(spark, small), 3, 20, 0.3, 0.1, blocks=3).infer(4)
     assert np.allclose([b for _, b, _ in block.history], bounds, rtol=1e-10)
     assert np.allclose(block.phi.T, phi, rtol=1e-9)
     mine = {(r["docs"], r["j"]): r["gamma"] for r in block.proportions().collect()}
@@ -140,3 +140,25 @@ def test_nested_plates_have_sizes(spark):
     assert {r["groups"]: r["size"] for r in m.plate_sizes("tosses").collect()} == {1: 3.0, 2: 1.0}
     pi = m.infer(2)["pi"].posterior().agg(F.sum("gamma")).first()[0]
     assert abs(pi - 2 - 2) < 1e-9  # one selector a group, not a toss
+
+
+@pytest.mark.parametrize("sentences", [False, True])
+def test_layouts_agree_through_the_model_language(spark, small, sentences):
+    df = frame(spark, small).withColumn("s", (F.col("w") % 3).cast("long"))
+    spec = zoo.slda() if sentences else zoo.lda()
+    keys = {"docs": "d", **({"sentences": "s"} if sentences else {})}
+    got = {}
+    for layout in ("long", "block"):
+        model = spec.bind(spark, K=4, V=20, alpha=0.3, beta=0.1)
+        model["x"].observe(df, value="w", keys=keys, weight="n")
+        model.infer(3, callback=lambda view: True, layout=layout)
+        rows = model.posterior("phi", dense=True).collect()
+        plate = model.rv("phi").plate.name
+        got[layout] = {(r[plate], r["j"]): r["gamma"] for r in rows}, model.lower_bound(), type(model.engine).__name__
+    assert got["long"][2] == "LongEngine" and got["block"][2] == "BlockEngine"
+    assert got["long"][0].keys() == got["block"][0].keys()
+    assert all(abs(got["long"][0][i] - got["block"][0][i]) < 1e-6 for i in got["long"][0])
+    assert abs(got["long"][1] - got["block"][1]) < 1e-5 * abs(got["long"][1])
+    model = spec.bind(spark, K=16, V=20, alpha=0.3, beta=0.1)
+    model["x"].observe(df, value="w", keys=keys, weight="n")
+    assert type(model.infer(1).engine).__name__ == "BlockEngine"
