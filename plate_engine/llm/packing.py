@@ -1,9 +1,9 @@
 """Sum-of-squares packing of documents into sequences.
 
 N(g) is the number of open sequences with g places left.  Each piece goes to the sequence, open or new,
-that leaves the sum of N(g)^2 smallest, so no gap size piles up and later pieces find their fit; ties
-go to the smallest gap.  Pieces are dealt by hash over shards of a bounded number of pieces, and a shard
-is packed by one task from lengths alone, so the state is one count a gap and the work grows in
+that leaves the sum of N(g)^2 smallest, so no gap size piles up and later pieces find their fit; of equal sums an open
+sequence goes before a new one, then the smallest gap left.  Longer pieces come first.  Pieces are dealt by hash over shards of
+some ``SHARD_PIECES`` pieces, however many documents they are of, and a shard is packed by one task from lengths alone, so the state is one count a gap and the work grows in
 proportion.  A shard wastes at most the few sequences that stay open at its end.
 """
 
@@ -18,12 +18,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import by_bytes, ragged, text_array
+from .common import by_bytes, ragged, stored, text_array
 from .encoders import encoder
 
 CAPACITY = 1024
 SHARD_PIECES = 60_000
-BATCH_BYTES = 24 << 20
+BATCH_BYTES = 8 << 20
 
 
 def sum_of_squares(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndarray, np.ndarray]:
@@ -42,7 +42,7 @@ def sum_of_squares(sizes: np.ndarray, capacity: int = CAPACITY) -> tuple[np.ndar
         change[count[size:] == 0] = 1 << 60
         fresh = 2 * int(left[capacity - size]) + 1 if size < capacity else 0
         g = int(change.argmin())
-        if change[g] - 1 <= fresh and change[g] < 1 << 60:
+        if change[g] <= fresh:
             gap = g + size
             b = open_bins[gap].pop()
             count[gap] -= 1
@@ -84,9 +84,9 @@ def pieces(docs: DataFrame, tokenizer: str, end_id: int = 2, capacity: int = CAP
     return docs.select(F.col(key).alias("k"), F.col(text).alias("t")).mapInArrow(cut, schema)
 
 
-def pack(cut: DataFrame, n_docs: int, capacity: int = CAPACITY, shard_pieces: int = SHARD_PIECES) -> DataFrame:
-    """``cut`` with ``sequence_id`` and ``offset``.  ``n_docs`` sets the number of shards."""
-    shards = max(1, -(-n_docs // shard_pieces))
+def pack(cut: DataFrame, capacity: int = CAPACITY, shard_pieces: int = SHARD_PIECES) -> DataFrame:
+    """A table ``cut`` of pieces with ``sequence_id`` and ``offset``; its rows are counted first."""
+    shards = max(1, -(-cut.count() // shard_pieces))
     schema = cut.schema.add("sequence_id", "long").add("offset", "long")
 
     def place(shard: tuple, rows: pd.DataFrame) -> pd.DataFrame:
@@ -104,4 +104,4 @@ def packed(docs: DataFrame, tokenizer: str, end_id: int = 2, capacity: int = CAP
     A null text counts as empty and is packed as the end id alone; repeated rows are packed each;
     an empty table gives no rows; other columns are ignored.
     """
-    return pack(pieces(docs, tokenizer, end_id, capacity), docs.count(), capacity)
+    return pack(stored(pieces(docs, tokenizer, end_id, capacity), "pieces"), capacity)

@@ -3,8 +3,8 @@
 A document is a bag of passages of 64 words; only the document has a label.  Every passage is encoded
 (surface features, then one learnt layer), a gated attention unit ``w . (tanh(V h) * sigmoid(U h))`` weighs
 the passages by softmax over the bag, and a logistic unit scores the weighted representation.  All of it
-is trained together on at most ``bags`` labelled documents (lowest id hashes) and applied to all
-passages of all documents.
+is trained together on at most ``BAGS`` labelled documents (lowest id hashes) of together at most ``PASSAGES`` passages, each
+with all its passages, and applied to all passages of all documents.
 
 Defined cases: a null or empty text is a bag of one all-zero passage; a very long text has as many passages as
 it needs; repeated rows get equal scores; a document labelled both ways counts as the larger label; with
@@ -21,7 +21,7 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import by_bytes, labelled_texts, text_array
@@ -29,7 +29,8 @@ from .common import by_bytes, labelled_texts, text_array
 PASSAGE_WORDS = 64
 BUCKETS = 64
 BATCH_BYTES = 6 << 20
-BAGS = 4000
+#: Labelled documents to learn from, and their passages, at most.
+BAGS, PASSAGES = 4000, 200_000
 SINGLE = b"#*$%&|<>!?.,;:-_/()\"'@=+{}[]"
 
 
@@ -159,9 +160,12 @@ def train(x: np.ndarray, ends: np.ndarray, y: np.ndarray, hidden: int = 24, gate
     return model
 
 
-def fit(texts: DataFrame, most_passages: int = 400, **options) -> AttentionModel:
-    """Learn from rows (h, t, y) of distinct texts; those beyond ``most_passages`` passages train nothing."""
-    sample = texts.filter(F.length("t") < most_passages * PASSAGE_WORDS * 8)
+def fit(texts: DataFrame, most_passages: int = PASSAGES, **options) -> AttentionModel:
+    """Learn from rows (h, t, y) of distinct texts, whole ones in the order of their hashes until ``most_passages`` are reached."""
+    length = F.ceil(F.size(F.split("t", r"[ \t\n\x0b\f\r]+")) / PASSAGE_WORDS)
+    # The rows are bounded by ``BAGS``, so one window may see them all.
+    taken = texts.select("h", length.alias("n")).withColumn("upto", F.sum("n").over(Window.orderBy("h"))).filter(F.col("upto") <= most_passages)
+    sample = texts.join(F.broadcast(taken.select("h")), "h", "left_semi")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in by_bytes(batches, "t", BATCH_BYTES):

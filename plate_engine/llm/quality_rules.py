@@ -1,16 +1,18 @@
 """Quality rules whose cutoffs carry a risk guarantee; DataFrame functions only.
 
-Each rule rejects a text when ``1000 * part > cutoff * whole`` for two whole numbers measured on it.
-Cutoffs come from a labelled holdout.  In every stratum (language) and for every rule the grid is walked
-from its loosest cutoff; a cutoff is certified while the exact binomial test rejects "it turns away more
-than ``risk / rules`` of the good documents" at level ``delta / (strata * rules)``, and the walk ends at
-the first that isn't (fixed-sequence testing inside a rule, Bonferroni across rules and strata).  So with
-probability ``1 - delta`` no stratum loses more than ``risk`` of its good documents to all rules together.
-Among certified cutoffs the one with most bad less good rejections is used, the loosest of equals.
+Each rule rejects a text when ``1000 * part > cutoff * whole`` for two whole numbers measured on it.  ``LADDER`` names
+joint vectors of cutoffs, one cutoff a rule, from the loosest to the strictest, so a text that is rejected at a rung
+is rejected at all later ones.  The rung comes from a labelled holdout: in every stratum (language) the ladder is walked
+from its loosest rung; a rung is certified while the exact binomial test rejects "its rules together turn away more
+than ``risk`` of the good documents" at the stratum's level, and the walk ends at the first that isn't (fixed-sequence
+testing).  The levels are shares of ``delta`` in proportion to the strata's good documents (weighted Bonferroni; these numbers
+don't depend on what is rejected).  So with probability ``1 - delta`` no stratum loses more than ``risk`` of its good
+documents to all rules together; some 170 to 220 good documents without a false rejection certify a rung.
+Among certified rungs the one with most bad less good rejections is used, the loosest of equals.
 
 Defined cases: a null text has no words and fails the base rule; a null language is the stratum of the
 empty string; repeated rows are judged each, but one text counts once in a stratum's holdout (bad if any
-copy is); a stratum with too few good documents gets no cutoff; an empty table gives no rows; no columns of
+copy is); a stratum with too few good documents gets no rung and rejects by the base rule alone; an empty table gives no rows; no columns of
 ``docs`` but the id, text and language are read, and names that clash with measures do no harm.
 """
 
@@ -18,7 +20,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import stored
@@ -27,8 +29,14 @@ WORD_GAP = r"[\x20\x09-\x0D]+"
 WINDOW = 5
 #: Rule: its part and its whole.
 RULES = {"symbols": ("n_symbols", "word_chars"), "repeats": ("n_repeat_words", "n_words"), "lines": ("n_dup_lines", "n_lines"), "capitals": ("n_capitals", "word_chars")}
-#: Cutoffs in thousandths, loosest first.
-GRID = (900, 700, 500, 400, 300, 250, 200, 150, 120, 100, 80, 60, 50, 40, 30, 20, 10, 5, 2)
+#: Cutoffs in thousandths of each rule at every rung, loosest first.
+LADDER = {
+    "symbols": (900, 700, 500, 300, 200, 150, 100, 80, 60, 40, 20, 10),
+    "repeats": (900, 800, 600, 500, 400, 350, 300, 250, 200, 180, 160, 140),
+    "lines": (900, 800, 700, 600, 500, 400, 350, 300, 250, 220, 200, 180),
+    "capitals": (900, 800, 700, 600, 500, 400, 300, 250, 200, 180, 150, 120),
+}
+RUNGS = 12
 RISK, DELTA = 0.02, 0.05
 
 
@@ -100,27 +108,30 @@ def binomial_cdf(n: Column, k: Column, p: float) -> Column:
     return F.aggregate(js, start, add, lambda acc: acc["total"] * F.exp(acc["term"]))
 
 
-def _rule_table() -> Column:
-    return F.explode(F.array(*[F.struct(F.lit(rule).alias("rule"), F.col(part).alias("part"), F.col(whole).alias("whole")) for rule, (part, whole) in RULES.items()]))
+def first_rung() -> Column:
+    """The loosest rung (from 1) at which a row of measures is rejected, RUNGS + 1 if none."""
 
+    def of(rule: str) -> Column:
+        part, whole = RULES[rule]
+        over = F.transform(F.array(*map(F.lit, LADDER[rule])), lambda c: 1000 * F.col(part) > c * F.col(whole))
+        return F.coalesce(F.nullif(F.array_position(over, True), F.lit(0)), F.lit(RUNGS + 1))
 
-def certified_cutoffs(holdout: DataFrame, risk: float = RISK, delta: float = DELTA) -> DataFrame:
-    """``stratum, rule, cutoff, n_good, wrong, caught`` from rows of measures and ``good`` (boolean).
+    return F.least(*[of(rule) for rule in RULES])
 
-    The result has a row for each stratum and rule that got a cutoff.
-    """
-    per_rule = risk / len(RULES)
+
+def certified_rungs(holdout: DataFrame, risk: float = RISK, delta: float = DELTA) -> DataFrame:
+    """``stratum, rung, n_good, wrong, caught`` from rows of measures and ``good`` (boolean), for strata with a rung."""
     strata = holdout.groupBy("stratum").agg(F.count_if("good").alias("n_good"))
-    over = holdout.select("stratum", "good", _rule_table().alias("r")).select("stratum", "good", "r.*").select("stratum", "good", "rule", "part", "whole", F.posexplode(F.array(*map(F.lit, GRID))).alias("rung", "cutoff"))
-    hits = over.filter(1000 * F.col("part") > F.col("cutoff") * F.col("whole")).groupBy("stratum", "rule", "rung").agg(F.count_if("good").alias("wrong"), F.count_if(~F.col("good")).alias("caught"))
-    rungs = strata.select("stratum", "n_good", F.explode(F.array(*map(F.lit, RULES))).alias("rule")).select("*", F.posexplode(F.array(*map(F.lit, GRID))).alias("rung", "cutoff"))
-    level = F.lit(delta / len(RULES)) / F.greatest(F.col("n_strata"), F.lit(1))
-    tested = rungs.join(hits, ["stratum", "rule", "rung"], "left").na.fill(0, ["wrong", "caught"]).crossJoin(F.broadcast(strata.agg(F.count("*").alias("n_strata"))))
-    p_value = F.when(F.col("wrong") > F.col("n_good") * per_rule, 1.0).otherwise(binomial_cdf(F.col("n_good"), F.col("wrong"), per_rule))
-    walked = tested.withColumn("passed", p_value <= level).groupBy("stratum", "rule").agg(F.min(F.when(~F.col("passed"), F.col("rung"))).alias("first_failed"), F.collect_list(F.struct("rung", "cutoff", "n_good", "wrong", "caught", (F.col("caught") - F.col("wrong")).alias("gain"))).alias("rows"))
-    certified = F.filter("rows", lambda x: F.col("first_failed").isNull() | (x["rung"] < F.col("first_failed")))
-    best = F.array_max(F.transform(certified, lambda x: F.struct(x["gain"].alias("gain"), (-x["rung"]).alias("loose"), x["cutoff"].alias("cutoff"), x["n_good"].alias("n_good"), x["wrong"].alias("wrong"), x["caught"].alias("caught"))))
-    return walked.select("stratum", "rule", best.alias("b")).filter("b is not null").select("stratum", "rule", "b.cutoff", "b.n_good", "b.wrong", "b.caught")
+    # A row a stratum; the window sees no other rows.
+    strata = strata.withColumn("level", delta * F.col("n_good") / F.greatest(F.sum("n_good").over(Window.partitionBy()), F.lit(1)))
+    first = holdout.select("stratum", "good", first_rung().alias("first")).filter(F.col("first") <= RUNGS)
+    hits = first.select("stratum", "good", F.explode(F.sequence("first", F.lit(RUNGS).cast("long"))).alias("rung")).groupBy("stratum", "rung").agg(F.count_if("good").alias("wrong"), F.count_if(~F.col("good")).alias("caught"))
+    rungs = strata.select("*", F.explode(F.sequence(F.lit(1).cast("long"), F.lit(RUNGS).cast("long"))).alias("rung"))
+    tested = rungs.join(hits, ["stratum", "rung"], "left").na.fill(0, ["wrong", "caught"])
+    p_value = F.when(F.col("wrong") > F.col("n_good") * risk, 1.0).otherwise(binomial_cdf(F.col("n_good"), F.col("wrong"), risk))
+    walked = tested.withColumn("passed", p_value <= F.col("level")).groupBy("stratum").agg(F.min(F.when(~F.col("passed"), F.col("rung"))).alias("failed"), F.collect_list(F.struct((F.col("caught") - F.col("wrong")).alias("gain"), (-F.col("rung")).alias("loose"), "n_good", "wrong", "caught")).alias("rows"))
+    best = F.array_max(F.filter("rows", lambda x: F.col("failed").isNull() | (-x["loose"] < F.col("failed"))))
+    return walked.select("stratum", best.alias("b")).filter("b is not null").select("stratum", (-F.col("b.loose")).alias("rung"), "b.n_good", "b.wrong", "b.caught")
 
 
 def judged(rows: DataFrame, marks: DataFrame, risk: float = RISK, delta: float = DELTA, key: str = "doc_id", good: str = "quality") -> DataFrame:
@@ -129,9 +140,11 @@ def judged(rows: DataFrame, marks: DataFrame, risk: float = RISK, delta: float =
     labelled = rows.filter(~F.col("base_failed")).join(marks, F.col(f"row.{key}") == F.col("k"))
     measures = sorted({m for pair in RULES.values() for m in pair})
     holdout = labelled.groupBy("stratum", "digest").agg((F.min("g") > 0).alias("good"), *[F.first(m).alias(m) for m in measures])
-    cutoffs = certified_cutoffs(holdout, risk, delta).groupBy("stratum").agg(F.map_from_entries(F.collect_list(F.struct("rule", "cutoff"))).alias("cutoffs"))
-    broken = F.array_sort(F.filter(F.array(*[F.when(1000 * F.col(p) > F.col("cutoffs")[r] * F.col(w), F.lit(r)) for r, (p, w) in RULES.items()]), lambda x: x.isNotNull()))
-    found = rows.join(cutoffs, "stratum", "left").withColumn("broken", F.get(broken, F.lit(0)))
+    rungs = certified_rungs(holdout, risk, delta).select("stratum", F.col("rung").cast("int"))
+    found = rows.join(rungs, "stratum", "left")
+    at = {rule: F.get(F.array(*map(F.lit, LADDER[rule])), F.col("rung") - 1) for rule in RULES}
+    broken = F.array_sort(F.filter(F.array(*[F.when(1000 * F.col(p) > at[r] * F.col(w), F.lit(r)) for r, (p, w) in RULES.items()]), lambda x: x.isNotNull()))
+    found = found.withColumn("broken", F.get(broken, F.lit(0)))
     return found.withColumn("kept", ~F.col("base_failed") & F.col("broken").isNull())
 
 

@@ -2,18 +2,13 @@
 
 from __future__ import annotations
 
-from .quality_rules import DELTA, GRID, RISK, RULES
-
-
-def _rules() -> str:
-    return " UNION ALL ".join(f"SELECT *, '{rule}' AS rule, {part} AS part, {whole} AS whole FROM holdout" for rule, (part, whole) in RULES.items())
+from .quality_rules import DELTA, LADDER, RISK, RULES, RUNGS
 
 
 def quality_ctes(docs: str = "documents") -> str:
-    per_rule, level = RISK / len(RULES), DELTA / len(RULES)
-    grid = ", ".join(f"({k}, {c})" for k, c in enumerate(GRID))
-    names = ", ".join(f"('{r}')" for r in RULES)
-    broken = ", ".join(f"max(CASE WHEN c.rule = '{r}' AND 1000 * m.{p} > c.cutoff * m.{w} THEN '{r}' END)" for r, (p, w) in RULES.items())
+    ladder = ", ".join(str((k + 1, *[LADDER[r][k] for r in RULES])) for k in range(RUNGS))
+    over = {r: f"1000 * {p} > l.{r} * {w}" for r, (p, w) in RULES.items()}
+    broken = ", ".join(f"CASE WHEN {test} THEN '{r}' END" for r, test in over.items())
     return rf"""
 texts AS (SELECT doc_id, coalesce(text, '') AS t, coalesce(lang, '') AS stratum FROM {docs}),
 cut AS (SELECT *, list_filter(regexp_split_to_array(t, '[\x20\x09-\x0D]+'), lambda x: x <> '') AS w,
@@ -33,19 +28,17 @@ holdout AS (SELECT stratum, digest, min(g) > 0 AS good, any_value(n_symbols) AS
   any_value(n_lines) AS n_lines, any_value(n_capitals) AS n_capitals
   FROM based JOIN marks USING (doc_id) WHERE NOT base_failed GROUP BY stratum, digest),
 strata AS (SELECT stratum, count(*) FILTER (good) AS n_good FROM holdout GROUP BY stratum),
-ruled AS ({_rules()}),
-grid(rung, cutoff) AS (VALUES {grid}),
-hits AS (SELECT stratum, rule, rung, count(*) FILTER (good) AS wrong, count(*) FILTER (NOT good) AS caught
-  FROM ruled, grid WHERE 1000 * part > cutoff * whole GROUP BY ALL),
-tested AS (SELECT s.stratum, n.rule, g.rung, g.cutoff, s.n_good, coalesce(h.wrong, 0) AS wrong, coalesce(h.caught, 0) AS caught
-  FROM strata s CROSS JOIN (VALUES {names}) n(rule) CROSS JOIN grid g LEFT JOIN hits h ON h.stratum = s.stratum AND h.rule = n.rule AND h.rung = g.rung),
-valued AS (SELECT *, CASE WHEN wrong > n_good * {per_rule!r}::DOUBLE THEN 1e0 ELSE list_sum(list_transform(range(0, wrong + 1),
-  lambda j: exp(lgamma(n_good + 1) - lgamma(j + 1) - lgamma(n_good - j + 1) + j * ln({per_rule!r}::DOUBLE) + (n_good - j) * ln(1 - {per_rule!r}::DOUBLE)))) END AS p FROM tested),
-walked AS (SELECT *, min(CASE WHEN p > {level!r}::DOUBLE / (SELECT greatest(count(*), 1) FROM strata) THEN rung END) OVER (PARTITION BY stratum, rule) AS failed FROM valued),
-cutoffs AS (SELECT stratum, rule, cutoff FROM walked WHERE failed IS NULL OR rung < failed
-  QUALIFY row_number() OVER (PARTITION BY stratum, rule ORDER BY caught - wrong DESC, rung) = 1),
-judged AS (SELECT m.*, b.broken FROM based m LEFT JOIN (SELECT m.doc_id, least({broken}) AS broken
-  FROM based m JOIN cutoffs c USING (stratum) GROUP BY m.doc_id) b USING (doc_id))"""
+ladder(rung, {", ".join(RULES)}) AS (VALUES {ladder}),
+hits AS (SELECT stratum, rung, count(*) FILTER (good) AS wrong, count(*) FILTER (NOT good) AS caught
+  FROM holdout, ladder l WHERE {" OR ".join(over.values())} GROUP BY ALL),
+tested AS (SELECT s.stratum, l.rung, s.n_good, coalesce(h.wrong, 0) AS wrong, coalesce(h.caught, 0) AS caught
+  FROM strata s CROSS JOIN ladder l LEFT JOIN hits h ON h.stratum = s.stratum AND h.rung = l.rung),
+valued AS (SELECT *, CASE WHEN wrong > n_good * {RISK!r}::DOUBLE THEN 1e0 ELSE list_sum(list_transform(range(0, wrong + 1),
+  lambda j: exp(lgamma(n_good + 1) - lgamma(j + 1) - lgamma(n_good - j + 1) + j * ln({RISK!r}::DOUBLE) + (n_good - j) * ln(1 - {RISK!r}::DOUBLE)))) END AS p FROM tested),
+walked AS (SELECT *, min(CASE WHEN p > {DELTA!r}::DOUBLE * n_good / (SELECT greatest(sum(n_good), 1) FROM strata) THEN rung END) OVER (PARTITION BY stratum) AS failed FROM valued),
+chosen AS (SELECT stratum, rung FROM walked WHERE failed IS NULL OR rung < failed
+  QUALIFY row_number() OVER (PARTITION BY stratum ORDER BY caught - wrong DESC, rung) = 1),
+judged AS (SELECT b.*, least({broken}) AS broken FROM based b LEFT JOIN chosen c USING (stratum) LEFT JOIN ladder l USING (rung))"""
 
 
 OP1_SQL = f"""WITH {quality_ctes()}

@@ -127,8 +127,9 @@ def brute_pack(sizes, capacity):
 
 def test_sum_of_squares_follows_the_rule():
     rng = np.random.default_rng(1)
-    for capacity in (10, 37):
-        sizes = rng.integers(1, capacity + 1, 200)
+    for turn in range(300):
+        capacity = int(rng.integers(8, 60))
+        sizes = np.minimum(rng.zipf(1.4, 120) if turn % 2 else rng.integers(1, capacity + 1, 120), capacity)
         bins, places = packing.sum_of_squares(sizes, capacity)
         assert bins.max() + 1 == brute_pack(sizes.tolist(), capacity)
         for b in range(bins.max() + 1):
