@@ -75,7 +75,7 @@ def full_outer_compare(spark, sf):
     return p.join(o, F.col("p_key") == F.col("o_key"), "full").select("p_key", "o_key", (F.coalesce("a", F.lit(0)) - F.coalesce("b", F.lit(0))).alias("gap"))
 
 
-@query("SELECT e.event_id, p.heads, p.total FROM (SELECT * FROM events WHERE event_type = 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(heads) AS heads, max(total) AS total FROM (SELECT user_id, ts, CAST(sum(CASE WHEN event_type = 'error' THEN 1 ELSE 0 END) OVER w AS BIGINT) AS heads, count(*) OVER w AS total FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING)) WHERE total % 10 = 0 OR heads % 3 = 0 GROUP BY user_id, ts) p ON e.user_id = p.user_id AND e.ts >= p.ts")
+@query("SELECT e.event_id, p.heads, p.total FROM (SELECT * FROM events WHERE event_type = 'purchase') e ASOF LEFT JOIN (SELECT user_id, ts, max(heads) AS heads, max(total) AS total FROM (SELECT user_id, ts, CAST(sum(CASE WHEN event_type = 'error' THEN 1 ELSE 0 END) OVER w AS BIGINT) AS heads, count(*) OVER w AS total FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts RANGE UNBOUNDED PRECEDING)) GROUP BY user_id, ts) p ON e.user_id = p.user_id AND e.ts >= p.ts")
 def posterior_asof(spark, sf):
     e = read(spark, sf, "events")
     by = Window.partitionBy("user_id").orderBy("ts").rangeBetween(Window.unboundedPreceding, Window.currentRow)
