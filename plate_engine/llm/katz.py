@@ -42,6 +42,8 @@ DISCOUNTED = 5
 #: Histories of over 1/HOT_SHARE of the tokens, and HOT_LEAST, are spread over buckets.
 HOT_SHARE, HOT_LEAST = 2000, 1000
 BATCH_BYTES = 6 << 20
+#: Text for which one more slice is made, so that what one task holds doesn't grow with the corpus.
+SLICE_BYTES = 32 << 20
 END = np.uint64(0)
 UNKNOWN, START = -2, -1
 ROW = "kind string, block long, part long, payload binary"
@@ -350,7 +352,8 @@ def _score(slices: int, hot: int, unigrams: Unigrams, bigrams: Discounts, hot_we
 def katz_scores(docs: DataFrame, train: Column, key: str = "doc_id", text: str = "text") -> DataFrame:
     """``doc_id, n_tokens, n_known, train_tokens, base_score, score`` of every row, from the rows that meet ``train``."""
     spark = docs.sparkSession
-    slices = max(16, 2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
+    volume = docs.agg(F.coalesce(F.sum(F.octet_length(F.col(text))), F.lit(0)).alias("bytes")).first()["bytes"]
+    slices = max(16, 2 * int(spark.conf.get("spark.sql.shuffle.partitions")), -(-volume // SLICE_BYTES))
     rows = docs.select(F.col(key).alias("k"), F.col(text).alias("t"), F.coalesce(train, F.lit(False)).cast("int").alias("train"))
     cut = stored(rows.mapInArrow(_blocks(slices), ROW), "lm-blocks", ["kind"])
     blocks = cut.filter("kind = 'block'")
