@@ -8,8 +8,10 @@ from pyspark.sql import DataFrame
 
 
 def msg_bytes(n: int, k: int, v: int, groups: int = 0) -> int:
-    """Resident bytes of N words, K topics, V outcomes: a K-vector per message of z and x in both directions,
-    and each word's copy of every component's V-vector of expected logs."""
+    """Resident bytes of N words, K topics, V outcomes: K-vectors for the messages of z and x in both directions and the
+    responsibilities of every word, two a group, and one V-vector of parameters and one of expected logs a component.
+
+    It does not explain the published 512 GB, which would need copies of the components' vectors a word."""
     return 8 * (4 * n * k + n * k + 2 * groups * k + 2 * v * k)
 
 

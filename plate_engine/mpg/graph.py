@@ -8,6 +8,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..runtime.loop import checkpointed
 from ..sources.text import dense_index
 
 PRIME = 2147483647
@@ -193,3 +194,30 @@ def starved_messages(graph: MessageGraph, changed: str = "phi") -> DataFrame:
     both = graph.edges().select("etype", F.explode(F.array(F.struct(F.col("src").alias("a"), F.col("dst").alias("b")), F.struct(F.col("dst").alias("a"), F.col("src").alias("b")))).alias("e")).select("etype", "e.a", "e.b")
     i = graph.ids[changed]
     return both.groupBy("etype").agg(F.count("*").alias("needed"), F.count_if(F.col("a").between(i.lo, i.hi)).alias("sent")).withColumn("starved", F.col("needed") - F.col("sent"))
+
+
+def pregel_round(edges: DataFrame, active: DataFrame) -> DataFrame:
+    """``vid, needed, received, ready`` of every vertex, after a round in which only ``active`` (vid) vertices send.
+
+    Messages go along an edge both ways.  A vertex can update, and so be active in the next round, only with all its messages.
+    """
+    both = edges.select(F.col("src").alias("a"), F.col("dst").alias("vid")).union(edges.select(F.col("dst").alias("a"), F.col("src").alias("vid")))
+    sent = both.join(active.select(F.col("vid").alias("a"), F.lit(1).alias("sends")), "a", "left")
+    return sent.groupBy("vid").agg(F.count("*").alias("needed"), F.count("sends").alias("received")).withColumn("ready", F.col("needed") == F.col("received"))
+
+
+def pregel_run(graph: MessageGraph, first: str = "phi", rounds: int = 3) -> list[dict[str, int]]:
+    """Rounds from the vertices of ``first``: how many ``sent``, got a message (``reached``) and could update (``ready``).
+
+    Ends when nothing may send; each round's active vertices are a checkpoint, so plans don't grow.
+    """
+    i = graph.ids[first]
+    edges, active, found = graph.edges(), graph.vertices().filter(F.col("vid").between(i.lo, i.hi)).select("vid"), []
+    for _ in range(rounds):
+        state = pregel_round(edges, active)
+        row = state.agg(F.count_if(F.col("received") > 0).alias("reached"), F.count_if("ready").alias("ready")).first()
+        found.append({"sent": active.count(), "reached": row["reached"], "ready": row["ready"]})
+        if not row["ready"]:
+            break
+        active = checkpointed(state.filter("ready").select("vid"))
+    return found

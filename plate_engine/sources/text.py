@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 WORD = r"[\p{L}\p{N}]+"
 SENTENCE_END = r"[.!?\n]+"
+#: The most frequent words of a vocabulary, which are broadcast; this many rows at most.
+HEAD = 1024
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,7 +53,16 @@ def vocabulary(weights: DataFrame, least_docs: int = 1) -> DataFrame:
 
 
 def encoded(weights: DataFrame, vocab: DataFrame, keys: list[str]) -> DataFrame:
-    return weights.join(vocab.select("word", "w"), "word").select(*keys, "w", "n")
+    """``keys, w, n`` of the words in the vocabulary, whose numbers fall with the count.
+
+    The first ``HEAD`` words, which may each be in every text, are found by broadcast; their rows then go through the join
+    with the others under keys of their own, so a frequent word's rows don't meet in one task.
+    """
+    head = vocab.filter(F.col("w") < HEAD).select("word", F.col("w").alias("_head"))
+    tail = vocab.filter(F.col("w") >= HEAD).select(F.col("word").alias("_key"), F.col("w").alias("_tail"))
+    spread = F.concat(F.lit("\0"), F.hex(F.xxhash64(*keys, "word")))
+    placed = weights.join(F.broadcast(head), "word", "left").withColumn("_key", F.when(F.col("_head").isNull(), F.col("word")).otherwise(spread))
+    return placed.join(tail, "_key", "left").select(*keys, F.coalesce("_head", "_tail").alias("w"), "n").filter("w is not null")
 
 
 def take_words(df: DataFrame, target: int, key: str = "doc_id") -> DataFrame:

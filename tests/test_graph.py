@@ -58,3 +58,22 @@ def test_changed_vertices_alone_starve_a_round(graph):
     got = {r["etype"]: (r["needed"], r["starved"]) for r in G.starved_messages(graph).collect()}
     assert got["z-x"][0] == got["z-x"][1] > 0
     assert got["phi-x"][1] == got["phi-x"][0] // 2
+
+
+def test_a_pregel_round_of_changed_vertices_stalls(spark, graph):
+    n = graph.ids["x"].size
+    (stalled,) = G.pregel_run(graph)
+    # Every x hears from the components, none from its z, so nothing can update.
+    assert stalled == {"sent": 8, "reached": n, "ready": 0}
+    all_ready = G.pregel_round(graph.edges(), graph.vertices().select("vid"))
+    assert all_ready.filter("not ready").count() == 0 and all_ready.count() == graph.vertices().count()
+    assert all_ready.agg(F.sum("needed")).first()[0] == 2 * graph.edges().count()
+
+
+def test_oriented_edges_are_runs_of_the_receiver(spark, graph):
+    edges = G.orient_edges(graph.edges(), 4)
+    placed = edges.withColumn("p", F.spark_partition_id())
+    assert placed.groupBy("dst").agg(F.count_distinct("p").alias("n")).filter("n > 1").count() == 0
+    assert edges.exceptAll(graph.edges()).count() == 0 and edges.count() == graph.edges().count()
+    for part in edges.select("dst").rdd.glom().collect():
+        assert [r["dst"] for r in part] == sorted(r["dst"] for r in part)
