@@ -56,6 +56,7 @@ class BoundModel:
             validate(spec, self.env)
             self.template = build_template(spec)
         self.bases: dict[str, DataFrame] = {}
+        self.packed: dict[str, DataFrame] = {}
         self.own_key: dict[str, bool] = {}
         self.values: dict[str, list[str]] = {}
         self.sizes: dict[str, int] = {p.name: int(p.size.value(self.env)) for p in spec.plates if p.size is not None}
@@ -105,6 +106,15 @@ class BoundModel:
         names = [c for c in rows.columns if c != "n"]
         self.bases[plate] = rows.groupBy(*names).agg(F.sum("n").alias("n"))
 
+    def observe_packed(self, value: str, blocks: DataFrame) -> None:
+        """Attach the outcomes of a variable as blocks of whole documents (``plans.blocks.pack_texts``), which a topic
+        model runs on as they are; for any other use they are unpacked."""
+        from ..plans.blocks import unpacked
+
+        p = self.rv(value).plate
+        self.own_key[p.name], self.values[p.name], self.packed[p.name] = False, [value], blocks
+        self.bases[p.name] = unpacked(blocks, [*[q.name for q in p.chain()[:-1]], value])
+
     def set_size(self, plate: str, n: int) -> None:
         self.sizes[self.plate(plate).name] = int(n)
 
@@ -138,19 +148,20 @@ class BoundModel:
 
     def infer(self, steps: int, callback: Callable | None = None, checkpoint_every: int = 1, init: Callable[[list[str]], tuple[Column, Column]] | None = None, cache: bool = True, layout: str = "auto") -> BoundModel:
         """Run the rounds.  ``layout``: ``long`` (any model), ``block`` (topic models whose components fit on a worker), or
-        ``auto``: the block layout for such models with ``BLOCK_TOPICS`` components or more, where it is the faster one."""
-        from ..plans.blocks import BlockEngine, fits, roles
+        ``auto``: the block layout for such models with ``BLOCK_TOPICS`` components or more, where it is the faster one,
+        and for all whose outcomes came packed: responsibilities as rows take many times the disk."""
+        from ..plans.blocks import BlockEngine, BurstyEngine, fits, roles
         from ..vmp.engine import LongEngine
 
         self.check_ready()
         found = roles(self) if layout != "long" and init is None else None
         if found:
             size, topics = (int(g.dimension.value(self.env)) for g in (found.phi, found.theta))
-            if layout == "auto" and not (topics >= BLOCK_TOPICS and fits(size, topics)):
+            if layout == "auto" and not ((topics >= BLOCK_TOPICS or self.packed) and (found.bursty or fits(size, topics))):
                 found = None
         elif layout == "block":
             raise ModelError("the block layout runs topic models only, from their standard start")
-        self.engine = BlockEngine(self, found) if found else LongEngine(self, init, checkpoint_every, cache)
+        self.engine = (BurstyEngine if found.bursty else BlockEngine)(self, found) if found else LongEngine(self, init, checkpoint_every, cache)
         self.engine.run(steps, callback)
         return self
 
