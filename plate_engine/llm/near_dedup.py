@@ -13,9 +13,11 @@ Exact copies (equal run multisets) form classes first, one text stands for each.
 that share a band are candidates.  In every band one text leads: the one that shares most bands with other texts,
 which in a family of edited copies is the one nearest to all.  Every member is compared with its bands' leaders
 by the exact multiset similarity, and links connect classes.  Bands whose members then belong to several classes are
-gone through again, with two leaders drawn by hash, each compared with the members of other classes.  The pairs compared so grow with the number of texts and not with the square of a
-band's size.  A text can be missed only if it is less than ``SIMILARITY`` near to every leader it met, though near to
-another member; the README gives the share found against all pairs.
+gone through again, with two leaders drawn by hash, each compared with the members of other classes.  What is still
+open then is done whole: in every band with several classes, all texts outside its largest class are compared with all
+members of other classes.  So every two texts that share a band and could be ``SIMILARITY`` near are in one class or were
+compared, and only a pair that shares no band can be missed.  The first turns keep the last one small: its pairs grow
+with the product of a band's largest class and the texts outside it.
 
 Hot keys: bands, leaders, classes and digests that hold many rows are joined by broadcast of at most
 ``HOT_SHARE`` rows (see ``hot_join``), and the texts compared with one leader are dealt in chunks of ``CHUNK``.
@@ -43,7 +45,7 @@ BANDS, ROWS = 32, 4
 COMPONENTS = BANDS * ROWS
 #: Texts that are compared with one leader in one group.
 CHUNK = 256
-#: Times that the bands are gone through; only those that still hold several classes are.
+#: Times that open bands, those that hold several classes, are gone through with leaders before all that is left is compared.
 TURNS = 2
 BATCH_BYTES = 2 << 20
 #: Pieces whose points are made at a time.
@@ -276,6 +278,15 @@ def _leaders(turn: int) -> list:
     return [F.min(ranked), F.max(ranked)]
 
 
+def _outsiders(members: DataFrame) -> DataFrame:
+    """``band, n, chunks, main, leads``: of every open band its largest class and all the texts outside that class."""
+    sized = members.groupBy("band", "root").agg(F.count("*").alias("held"))
+    main = sized.groupBy("band").agg(F.max(F.struct("held", "root"))["root"].alias("main"), F.sum("held").alias("n"), F.count("*").alias("roots"))
+    main = stored(main.filter("roots > 1").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), "main"), "main-classes")
+    outside = hot_join(members, main, "band").filter("root <> main").groupBy("band").agg(F.collect_list(F.struct("id", "size", "root")).alias("leads"))
+    return main.join(outside, "band").select("band", "n", "chunks", "main", "leads")
+
+
 def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", least: float = SIMILARITY) -> DataFrame:
     """``key, class_id, copy_of``: the lowest id of the near-duplicate class and of the exact copies, a row an id."""
     rows = _one_text_an_id(docs, key, text)
@@ -292,12 +303,18 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", least
     # Dealt by id at every size: a broadcast list of candidates would grow with the corpus.
     texts = stored(rows.join(bands.select(F.col("id").alias("k")).hint("merge"), "k", "left_semi"), "candidate-texts")
     roots = links = None
-    for turn in range(TURNS):
+    for turn in range(TURNS + 1):
+        whole = turn == TURNS
         members = bands.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")) if roots else bands.withColumn("root", F.col("id"))
         members = (stored(members, "members") if roots else members).select("id", "size", "c", "root", F.explode("bands").alias("band"))
-        groups = members.groupBy("band").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi"), F.array(*_leaders(turn)).alias("leads"))
-        groups = stored(groups.filter("lo <> hi").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), "leads"), "open-bands")
-        led = hot_join(members, groups, "band").select("id", "size", "root", "chunks", F.explode("leads").alias("l"))
+        if whole:
+            groups = stored(_outsiders(members), "open-bands")
+        else:
+            groups = members.groupBy("band").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi"), F.array(*_leaders(turn)).alias("leads"))
+            groups = stored(groups.filter("lo <> hi").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), F.lit(None).cast(kind).alias("main"), "leads"), "open-bands")
+        led = hot_join(members, groups, "band").select("id", "size", "root", "chunks", "main", F.explode("leads").alias("l"))
+        if whole:  # two outsiders meet once
+            led = led.filter((F.col("root") == F.col("main")) | (F.col("l.root") < F.col("root")))
         fit = F.least("l.size", "size") >= F.greatest("l.size", "size") * least
         pairs = led.filter(fit & (F.col("l.root") != F.col("root"))).groupBy(F.col("l.id").alias("a"), F.col("id").alias("b")).agg(F.max("chunks").alias("chunks"))
         pairs = stored(pairs.select("a", "b", F.hash("chunks", F.pmod(F.xxhash64("b"), F.col("chunks"))).alias("chunk")), "pairs")

@@ -236,6 +236,25 @@ def test_signatures_are_unbiased():
     assert 0.6 < np.mean(np.square(gaps)) / np.mean(spread) < 1.6
 
 
+def test_what_leaders_leave_open_is_compared_whole(spark, monkeypatch):
+    """Without any leader all links are found, as are those that random leaders miss."""
+    monkeypatch.setattr(near_dedup, "TURNS", 0)
+    rng = np.random.default_rng(11)
+    base = [f"w{i}" for i in range(90)]
+    texts = []
+    for _ in range(12):  # pairs near to each other, all at some distance from one text in the middle
+        one = list(base)
+        for at in rng.choice(90, 2, replace=False):
+            one[at] = f"x{rng.integers(1 << 30)}"
+        two = list(one)
+        two[int(rng.integers(90))] = "y"
+        texts += [" ".join(one), " ".join(two)]
+    texts += [" ".join(base), texts[0], "", " ".join(f"z{i}" for i in range(40))]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["class_id"] for r in near_dedup.near_classes(df).collect()}
+    assert got == brute_classes(list(range(len(texts))), texts)
+
+
 @pytest.mark.parametrize("hot", [500, 1])
 def test_classes_equal_brute_force(spark, awkward, monkeypatch, hot):
     """Also with every key of two rows or more joined by broadcast, and texts compared in chunks of two."""
