@@ -77,3 +77,24 @@ def test_oriented_edges_are_runs_of_the_receiver(spark, graph):
     assert edges.exceptAll(graph.edges()).count() == 0 and edges.count() == graph.edges().count()
     for part in edges.select("dst").rdd.glom().collect():
         assert [r["dst"] for r in part] == sorted(r["dst"] for r in part)
+
+
+def test_tables_of_replicas_are_of_given_rows(spark):
+    """Both tables change with the rows that they are about, and equal the formulas of single values."""
+    from plate_engine.queries import methods
+
+    seen = []
+    for sf in ("/root/testdata/sf0.001", "/root/testdata/sf0.01"):
+        rows = methods.expected_replicas_table(spark, sf).collect()
+        assert all(abs(r["replicas"] - G.expected_replicas(r["strategy"], r["m"], r["k"])) < 1e-6 for r in rows)
+        orders = sum(r["orders"] for r in rows if r["strategy"] == "1d" and r["m"] == 4)
+        assert orders == spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey").distinct().count()
+        found = methods.asymptotic_table(spark, sf).collect()
+        n = spark.read.parquet(f"{sf}/events.parquet").count()
+        assert len(found) == 2 * len(G.ASYMPTOTIC) and {r["n"] for r in found} == {n}
+        for r in found:
+            k = 8 if r["k"] == "O(1)" else r["m"]
+            assert abs(r["expected"] - G.expected_replicas(r["strategy"], r["m"], k)) < 1e-6
+            assert abs(r["bound"] - G.largest_partition_bound(r["strategy"], n, r["m"], k)) < 1e-3
+        seen.append((orders, n))
+    assert seen[0] != seen[1]
