@@ -7,14 +7,15 @@ or count: TF-IDF, with document frequencies over *all* documents, times 1 + |z|,
 chi-square statistic of the term with the label over all training texts.  So a short abusive passage is not drowned
 by thousands of neutral words, which keep their TF-IDF weight.  A term that no labelled text holds can match none and is not
 weighed.  At most ``TOXIC`` toxic and ``OTHER`` other labelled documents are learnt from, those of the lowest id hashes;
-their distinct texts form the index: per term, postings in blocks of 64 neighbouring example numbers, each block with its
-largest weight.
+their distinct texts form the index: postings of every term, and for the ``FREQUENT`` terms of the most postings a matrix of
+weights by example and one of the largest weight of each block of 64 neighbouring example numbers.
 
 Scoring: a text's vector is matched against the index and its ``k`` nearest examples are found
-exactly.  Terms are taken by falling upper bound, some shares of their postings at a time.  After each share the blocks'
-largest weights bound what the terms left can add to the examples of a block; an example that can't reach the k-th score
-any more is out, and once completing the others from their own vectors is less work than the postings left, that
-ends the search.  Equal scores go to the lower example number.  The labels vote with weight 1 / (distance + eps); the vote,
+exactly.  Some texts are searched together: first the postings of their rarer terms are summed.  Then the blocks' largest weights
+bound what the frequent terms can add to the examples of a block; an example that can't reach the k-th score any more is out,
+and once few are left, that ends the search.  For the other texts a matrix product adds the frequent terms to all examples, in
+single precision; an example that is below the k-th score by more than the product's greatest error is out.  Those left get
+their cosines in double precision, so neither step changes a neighbour.  Equal scores go to the lower example number.  The labels vote with weight 1 / (distance + eps); the vote,
 binned and made monotone by pooling on leave-one-out votes of the examples, is the score.  In the pooling an example counts
 for all labelled rows of its label, so the share of toxic ones is that of the labels and not of the sample.  A text without a term of the
 examples has no neighbours and gets the rate of such examples.
@@ -27,6 +28,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass, replace
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -43,11 +45,16 @@ STEMS = (4, 5)
 #: For sums of single-precision weights in another order.
 SLACK = 1e-9
 BINS = 20
-BATCH_BYTES = 8 << 20
+BATCH_BYTES = 4 << 20
+#: Words whose terms are counted at a time; a worker holds some 150 bytes a word then.
+PAIRED = 1 << 17
 #: Labelled rows to learn from, at most, of each label.
 TOXIC, OTHER = 1000, 2000
-#: Shares of a text's postings after which the search looks whether it can stop.
-LOOKS = (0.1, 0.4)
+#: Terms of the most postings, whose weights are a matrix; texts searched together, and their postings of other terms.
+FREQUENT = 1024
+TOGETHER, POSTINGS = 64, 1 << 19
+#: Up to 1 / ENOUGH of the examples are completed one by one rather than all by the product.
+ENOUGH = 32
 #: ASCII white space, control characters and punctuation become spaces, capitals lower case.
 FOLD = bytes(32 if b < 48 or 58 <= b < 65 or 91 <= b < 97 or 123 <= b < 128 else b + 32 if 65 <= b < 91 else b for b in range(256))
 
@@ -67,25 +74,63 @@ def folded_words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, pa.Array]:
 
 
 def terms_of(word: str) -> list[str]:
-    return ["=" + word] + ["^" + word[:k] for k in (4, 5) if len(word) > k]
+    return ["=" + word] + ["^" + word[:k] for k in STEMS if len(word) > k]
 
 
-def term_counts(texts: pa.Array, number: dict[str, int], grow: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct (text, term) pairs and their counts, by text.  ``number`` numbers the terms that count;
-    with ``grow`` new terms are added to it."""
+@dataclass
+class Terms:
+    """Numbered terms, in their order: whole words, then stems."""
+
+    whole: pa.Array
+    stem: pa.Array
+
+    @classmethod
+    def of(cls, terms: pa.Array) -> Terms:
+        stem = pc.starts_with(terms, "^")
+        bare = pc.utf8_slice_codeunits(terms, 1)
+        return cls(bare.filter(pc.invert(stem)), bare.filter(stem))
+
+    def __len__(self) -> int:
+        return len(self.whole) + len(self.stem)
+
+    def __iter__(self) -> Iterator[str]:
+        yield from ("=" + w for w in self.whole.to_pylist())
+        yield from ("^" + w for w in self.stem.to_pylist())
+
+    def __getitem__(self, term: str) -> int:
+        """The number of a term, -1 if it is none of these."""
+        own, first = (self.stem, len(self.whole)) if term[0] == "^" else (self.whole, 0)
+        at = own.index(term[1:]).as_py()
+        return at if at < 0 else first + at
+
+    def held(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The numbers of the terms of every word that are among these, word by word, and how many they are."""
+        number = np.full((len(words), 1 + len(STEMS)), -1, np.int64)
+        number[:, 0] = pc.fill_null(pc.index_in(words, self.whole), -1).to_numpy()
+        length = pc.utf8_length(words).to_numpy()
+        cut = pa.concat_arrays([pc.utf8_slice_codeunits(words, 0, k) for k in STEMS])
+        stems = pc.fill_null(pc.index_in(cut, self.stem), -1).to_numpy().reshape(len(STEMS), -1).T
+        number[:, 1:] = np.where((stems >= 0) & (length[:, None] > np.array(STEMS)), stems + len(self.whole), -1)
+        return number[number >= 0], (number >= 0).sum(axis=1)
+
+
+def term_counts(texts: pa.Array, number: Terms | dict[str, int]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (text, term) pairs and their counts, by text.  Only the terms of ``number`` count; to a dict new ones are added."""
     doc, word, table = folded_words(texts)
-    found: list[int] = []
-    sizes = np.zeros(len(table), np.int64)
-    for i, w in enumerate(table.to_pylist()):
-        ids = [number.setdefault(t, len(number)) for t in terms_of(w)] if grow else [number[t] for t in terms_of(w) if t in number]
-        found += ids
-        sizes[i] = len(ids)
-    starts = np.cumsum(sizes) - sizes
-    held = sizes[word] > 0
-    doc, word = doc[held], word[held]
-    term = np.array(found, np.int64)[ragged(starts[word], sizes[word])] if len(word) else word
-    pair, n = np.unique(np.repeat(doc, sizes[word]) * max(1, len(number)) + term, return_counts=True)
-    return pair // max(1, len(number)), pair % max(1, len(number)), n
+    if isinstance(number, Terms):
+        found, sizes = number.held(table)
+    else:
+        terms = [[number.setdefault(t, len(number)) for t in terms_of(w)] for w in table.to_pylist()]
+        found, sizes = np.array([t for some in terms for t in some], np.int64), np.array([len(some) for some in terms], np.int64)
+    starts, n = np.cumsum(sizes) - sizes, max(1, len(number))
+    # By some whole texts at a time, since the pairs of all take much more memory than the texts.
+    cuts = np.append(np.searchsorted(doc, doc[np.arange(0, len(doc), PAIRED)]), len(doc))
+    parts = []
+    for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+        some, own = word[a:b], sizes[word[a:b]]
+        pair, count = np.unique(np.repeat(doc[a:b], own) * n + found[ragged(starts[some], own)], return_counts=True)
+        parts.append(((pair // n).astype(np.int32), (pair % n).astype(np.int32), count.astype(np.int32)))
+    return tuple(np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.int32),) * 3
 
 
 def _grouped(key: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
@@ -95,76 +140,80 @@ def _grouped(key: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
 
 @dataclass
 class BlockMaxIndex:
-    """L2-normalised examples by term, with the largest weight of every block, and by example."""
+    """L2-normalised examples by term, in single precision, with the largest weight of every block."""
 
     starts: np.ndarray
     example: np.ndarray
     weight: np.ndarray
     n_examples: int
-    block_starts: np.ndarray
-    block: np.ndarray
-    block_max: np.ndarray
-    top: np.ndarray
-    own_starts: np.ndarray
-    own_word: np.ndarray
-    own_weight: np.ndarray
 
     @classmethod
     def build(cls, word: np.ndarray, example: np.ndarray, weight: np.ndarray, n_words: int, n_examples: int) -> BlockMaxIndex:
-        order = np.lexsort((word, example))
-        word, example, weight = word[order].astype(np.int32), example[order].astype(np.int32), weight[order]
-        _, own_starts = _grouped(example, n_examples)
         order, starts = _grouped(word, n_words)
-        by_word, postings, values = word[order], example[order], weight[order]
-        firsts = np.flatnonzero(np.concatenate([[True], (by_word[1:] != by_word[:-1]) | (postings[1:] // BLOCK != postings[:-1] // BLOCK)])) if len(order) else np.zeros(0, np.int64)
-        block_max = np.maximum.reduceat(values, firsts) if len(firsts) else np.zeros(0)
-        _, block_starts = _grouped(by_word[firsts], n_words)
-        top = np.zeros(n_words)
-        np.maximum.at(top, by_word[firsts], block_max)
-        return cls(starts, postings, values, n_examples, block_starts, postings[firsts] // BLOCK, block_max, top, own_starts, word, weight)
-
-    def completed(self, who: np.ndarray, words: np.ndarray, weights: np.ndarray) -> np.ndarray:
-        """Cosines of the examples ``who``, from their own vectors."""
-        sizes = self.own_starts[who + 1] - self.own_starts[who]
-        place = ragged(self.own_starts[who], sizes)
-        query = np.zeros(len(self.top))
-        query[words] = weights
-        return np.bincount(np.repeat(np.arange(len(who)), sizes), query[self.own_word[place]] * self.own_weight[place], len(who))
+        return cls(starts, example[order].astype(np.int32), weight[order].astype(np.float32), n_examples)
+
+    @cached_property
+    def frequent(self) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+        """Place of every frequent term (-1: rare), their weights by example, the largest of each block, the largest norm."""
+        sizes = np.diff(self.starts)
+        terms = np.argsort(-sizes, kind="stable")[:FREQUENT]
+        place = np.full(len(sizes), -1, np.int32)
+        place[terms] = np.arange(len(terms))
+        weight = np.zeros((len(terms), -(-self.n_examples // BLOCK) * BLOCK), np.float32)
+        at = ragged(self.starts[terms], sizes[terms])
+        weight[np.repeat(np.arange(len(terms)), sizes[terms]), self.example[at]] = self.weight[at]
+        block_max = weight.reshape(len(terms), -(-self.n_examples // BLOCK), BLOCK).max(axis=2)
+        norm = np.sqrt(np.einsum("ij,ij->j", weight, weight).max(initial=0.0))
+        return place, weight[:, : self.n_examples], block_max, float(norm)
 
     def nearest(self, words: np.ndarray, weights: np.ndarray, k: int, skip: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """The k examples of largest cosine (all positive), by (cosine desc, number), without ``skip``."""
-        if not len(words):
-            return np.zeros(0, np.int64), np.zeros(0)
-        order = np.argsort(-self.top[words] * weights, kind="stable")
-        sizes = (self.starts[words + 1] - self.starts[words])[order]
-        reach = np.cumsum(sizes)
-        score = np.zeros(self.n_examples)
-        mean, done = len(self.own_word) / max(1, self.n_examples), 0
-        least = max(0, self.n_examples - k - 1)
-        for share in (*LOOKS, 1.0):
-            stop = len(order) if share == 1 else int(np.searchsorted(reach, share * reach[-1])) + 1
-            if stop <= done:
-                continue
-            at = order[done:stop]
-            place = ragged(self.starts[words[at]], sizes[done:stop])
-            score += np.bincount(self.example[place], self.weight[place] * np.repeat(weights[at], sizes[done:stop]), self.n_examples)
-            done, left = stop, order[stop:]
-            floor = np.partition(score, least)[least] if self.n_examples > k + 1 else 0.0
-            if not len(left):
-                break
-            blocks = self.block_starts[words[left] + 1] - self.block_starts[words[left]]
-            place = ragged(self.block_starts[words[left]], blocks)
-            more = np.bincount(self.block[place], self.block_max[place] * np.repeat(weights[left], blocks), -(-self.n_examples // BLOCK))
-            open_ = np.flatnonzero(score + np.repeat(more, BLOCK)[: self.n_examples] >= floor - SLACK)
-            if len(open_) * mean < reach[-1] - reach[done - 1]:
-                break
-        if done == len(order):
-            open_ = np.flatnonzero(score >= max(floor - SLACK, 1e-12))
-        open_ = open_[open_ != skip]
-        cosine = self.completed(open_, words, weights)
-        open_, cosine = open_[cosine > 0], np.round(cosine[cosine > 0], 12)
-        best = np.lexsort((open_, -cosine))[:k]
-        return open_[best], np.minimum(cosine[best], 1.0)
+        return self.nearest_each([(words, weights)], k, [skip])[0]
+
+    def nearest_each(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int, skip: list[int] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
+        """``nearest`` of every (words, weights) of ``queries``."""
+        place, weight, _, _ = self.frequent
+        sizes, found, start = np.diff(self.starts), [], 0
+        work = [int(sizes[w[place[w] < 0]].sum()) for w, _ in queries]
+        while start < len(queries):
+            stop, held = start + 1, work[start]
+            while stop < len(queries) and stop - start < TOGETHER and held + work[stop] <= POSTINGS:
+                held, stop = held + work[stop], stop + 1
+            for i, score, open_ in zip(range(start, stop), *self._open(queries[start:stop], k), strict=True):
+                words, weights = queries[i]
+                who = np.flatnonzero(open_)
+                who = who[who != skip[i]] if skip else who
+                at = place[words]
+                # Added term by term, so a cosine does not depend on what else is open.
+                cosine = score[who] + (weights[at >= 0, None] * weight[np.ix_(at[at >= 0], who)]).sum(axis=0)
+                who, cosine = who[cosine > 0], np.round(cosine[cosine > 0], 12)
+                best = np.lexsort((who, -cosine))[:k]
+                found.append((who[best], np.minimum(cosine[best], 1.0)))
+            start = stop
+        return found
+
+    def _open(self, queries: list[tuple[np.ndarray, np.ndarray]], k: int) -> tuple[np.ndarray, np.ndarray]:
+        """Of every query (a row), what its rare terms give to the examples, and which of them may be among its k + 1 nearest."""
+        place, weight, block_max, norm = self.frequent
+        n, rows = self.n_examples, len(queries)
+        row = np.repeat(np.arange(rows), [len(w) for w, _ in queries])
+        word, value = (np.concatenate(x) for x in zip(*queries, strict=True))
+        rare = place[word] < 0
+        terms = word[rare]
+        sizes = self.starts[terms + 1] - self.starts[terms]
+        at = ragged(self.starts[terms], sizes)
+        score = np.bincount(np.repeat(row[rare] * n, sizes) + self.example[at], np.repeat(value[rare], sizes) * self.weight[at], rows * n).reshape(rows, n)
+        query = np.zeros((rows, len(weight)), np.float32)
+        query[row[~rare], place[word[~rare]]] = value[~rare]
+        # Single-precision sums of so many products are off by this at most.
+        slack = SLACK + (len(weight) + 4) * 2.0**-23 * norm * np.sqrt(np.einsum("ij,ij->i", query, query, dtype=np.float64))[:, None]
+        least = max(0, n - k - 1)
+        floor = (lambda s: np.partition(s, least, axis=1)[:, [least]] if n > k + 1 else np.zeros((len(s), 1)))
+        open_ = score + np.repeat(query @ block_max, BLOCK, axis=1)[:, :n] >= floor(score) - slack
+        more = np.flatnonzero(open_.sum(axis=1) * ENOUGH > n)
+        whole = score[more] + query[more] @ weight
+        open_[more] = (whole >= floor(whole) - slack[more]) & (whole > 0)
+        return score, open_
 
 
 @dataclass
@@ -186,7 +235,7 @@ class Sent:
 
 @dataclass
 class NeighbourModel:
-    words: dict[str, int]
+    words: Terms
     scale: np.ndarray
     index: BlockMaxIndex
     label: np.ndarray
@@ -206,12 +255,11 @@ class NeighbourModel:
         cuts = np.searchsorted(doc, np.arange(len(texts) + 1))
         return [(word[a:b], weight[a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
 
-    def vote(self, words: np.ndarray, weights: np.ndarray, skip: int = -1) -> tuple[float, np.ndarray, np.ndarray]:
-        near, cosine = self.index.nearest(words, weights, self.k, skip)
-        if not len(near):
-            return -1.0, near, cosine
-        pull = 1.0 / (1.0 - cosine + EPS)
-        return float((pull * self.label[near]).sum() / pull.sum()), near, cosine
+    def votes(self, texts: pa.Array, skip: list[int] | None = None) -> Iterator[tuple[float, np.ndarray, np.ndarray]]:
+        """The vote of every text's nearest examples (-1: it has none), their numbers and cosines."""
+        for near, cosine in self.index.nearest_each(self.vectors(texts), self.k, skip):
+            pull = 1.0 / (1.0 - cosine + EPS)
+            yield float((pull * self.label[near]).sum() / pull.sum()) if len(near) else -1.0, near, cosine
 
     def calibrated(self, vote: float) -> float:
         return self.bare if vote < 0 else float(self.level[min(len(self.level) - 1, int(np.searchsorted(self.edges, vote, side="right")))])
@@ -250,7 +298,7 @@ def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in by_bytes(batches, "t", BATCH_BYTES):
             number: dict[str, int] = {}
-            doc, term, _ = term_counts(text_array(table.column("t")), number, grow=True)
+            doc, term, _ = term_counts(text_array(table.column("t")), number)
             both, toxic = np.bincount(term, minlength=len(number)), np.bincount(term, table.column("y").to_numpy()[doc], len(number))
             yield pa.RecordBatch.from_pydict({"w": pa.array(list(number), pa.string()), "n": pa.array(both, pa.int64()), "t": pa.array(toxic.astype(np.int64))})
 
@@ -259,7 +307,7 @@ def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str
         return None
     total, toxic = float(n["n"]), float(n["t"])
     by_word = texts.select("t", "y").mapInArrow(spread, "w string, n long, t long").groupBy("w").agg(F.sum("n").alias("n"), F.sum("t").alias("t")).toArrow().sort_by("w")
-    words = {w: i for i, w in enumerate(by_word.column("w").to_pylist())}
+    words = Terms.of(by_word.column("w").combine_chunks())  # "=" sorts before "^"
     m, a = by_word.column("n").to_numpy().astype(float), by_word.column("t").to_numpy().astype(float)
     expected = m * toxic / total
     z = (a - expected) / np.sqrt(np.maximum(expected * (1 - toxic / total) * (1 - m / total), 1e-9))
@@ -309,7 +357,7 @@ def fit(texts: DataFrame, docs: DataFrame | None = None, k: int = 15, text: str
         by_hash = np.argsort(own.example_hash)
         for table in by_bytes(batches, "t", BATCH_BYTES):
             at = by_hash[np.searchsorted(own.example_hash, table.column("h").to_numpy(), sorter=by_hash)]
-            votes = [own.vote(w, v, skip=int(i))[0] for i, (w, v) in zip(at, own.vectors(text_array(table.column("t"))), strict=True)]
+            votes = [vote for vote, _, _ in own.votes(text_array(table.column("t")), skip=at.tolist())]
             yield pa.RecordBatch.from_pydict({"i": pa.array(at, pa.int64()), "vote": pa.array(votes, pa.float64())})
 
     # Each search is long, so the texts are dealt to all cores.
@@ -337,8 +385,7 @@ def scored(docs: DataFrame, model: NeighbourModel | None, threshold: float = 0.7
         m = sent.model() if sent else None
         for table in by_bytes(batches, "t", BATCH_BYTES):
             scores, shown = [], []
-            for words, weights in m.vectors(text_array(table.column("t"))) if m else [(None, None)] * table.num_rows:
-                vote, near, cosine = m.vote(words, weights) if m else (-1.0, [], [])
+            for vote, near, cosine in m.votes(text_array(table.column("t"))) if m else [(-1.0, [], [])] * table.num_rows:
                 scores.append(m.calibrated(vote) if m else 0.0)
                 shown.append([{"example": int(m.example_hash[e]), "toxic": int(m.label[e]), "cosine": float(c)} for e, c in zip(near[:evidence], cosine[:evidence], strict=True)])
             s = np.array(scores)
@@ -369,7 +416,7 @@ def keep_clean(docs: DataFrame, marks: DataFrame, threshold: float = 0.7, text:
         for batch in batches:
             # By place, since other columns may have any name.
             for table in by_bytes(iter([batch.rename_columns([f"c{i}" for i in range(batch.num_columns)])]), f"c{place}", BATCH_BYTES):
-                low = [m.calibrated(m.vote(w, v)[0]) < threshold for w, v in m.vectors(text_array(table.column(place)))] if m else [True] * table.num_rows
+                low = [m.calibrated(vote) < threshold for vote, _, _ in m.votes(text_array(table.column(place)))] if m else [True] * table.num_rows
                 yield from table.rename_columns(batch.schema.names).filter(pa.array(low, pa.bool_())).to_batches()
 
     return docs.mapInArrow(keep, docs.schema)

@@ -1,3 +1,5 @@
+import tracemalloc
+
 import numpy as np
 import pyarrow as pa
 import pytest
@@ -109,6 +111,58 @@ def test_block_max_search_is_exact():
         assert (np.diff(cos) <= 1e-12).all()
 
 
+def test_texts_searched_together_find_the_same(monkeypatch):
+    """With terms in the matrix and out of it, texts without a term, ties, an example left out, and rows that need no product."""
+    monkeypatch.setattr(toxicity, "FREQUENT", 12)
+    monkeypatch.setattr(toxicity, "TOGETHER", 7)
+    monkeypatch.setattr(toxicity, "POSTINGS", 900)
+    rng = np.random.default_rng(5)
+    n, v, k = 700, 60, 9
+    mask = rng.random((n, v)) < rng.random(v) ** 3
+    mask[1::9] = mask[0::9][: len(mask[1::9])]
+    ex, word = np.nonzero(mask)
+    weight = np.where(np.isin(ex % 9, (0, 1)), 1.0, rng.random(len(ex)))
+    weight = (weight / np.sqrt(np.bincount(ex, weight**2, n))[ex]).astype(np.float32)
+    index = toxicity.BlockMaxIndex.build(word, ex, weight, v, n)
+    queries, skip = [(np.zeros(0, np.int64), np.zeros(0))], [-1]
+    for i in range(60):
+        held = np.flatnonzero(mask[i]) if i % 2 else np.sort(rng.choice(v, 8, replace=False))
+        w = rng.random(len(held)) ** 4 + 1e-6
+        queries.append((held, w / max(1e-9, np.linalg.norm(w))))
+        skip.append(i if i % 4 == 1 else -1)
+    for (words, w), left, (near, _) in zip(queries, skip, index.nearest_each(queries, k, skip), strict=True):
+        assert near.tolist() == [e for e in brute_nearest(index, words, w, k + 1, v) if e != left][:k]
+
+
+def test_terms_are_looked_up_together():
+    texts = pa.array(["Straße straßenbahn words word wo", "", "éééé ééééé éééééé, wörter-buch", "zzzz word"])
+    number = {}
+    doc, term, _ = toxicity.term_counts(texts, number)
+    held = sorted(number, key=number.get)[::2] + ["=never", "^neve"]
+    terms = toxicity.Terms.of(pa.array(sorted(held)))
+    got = zip(*toxicity.term_counts(texts, terms), strict=True)
+    want = [(int(d), t) for d, i in zip(doc, term, strict=True) for t, n in number.items() if n == i and t in held]
+    assert sorted((int(d), sorted(held)[i]) for d, i, _ in got) == sorted(want)
+    assert [len(x) for x in toxicity.term_counts(pa.array(["", " .,"]), terms)] == [0, 0, 0]
+    assert len(terms) == len(held) and len(toxicity.term_counts(texts, toxicity.Terms.of(pa.array([], pa.string())))[0]) == 0
+
+
+def test_a_batch_of_texts_fits_a_worker():
+    """What a worker holds while it counts the terms of a batch."""
+    rng = np.random.default_rng(4)
+    words = np.array([f"w{i:04d}" for i in range(5000)])
+    texts, size = [], 0
+    while size < toxicity.BATCH_BYTES:
+        texts.append(" ".join(words[rng.integers(0, 5000, 300)]))
+        size += len(texts[-1])
+    array = pa.array(texts)
+    tracemalloc.start()
+    toxicity.term_counts(array, {})
+    most = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert most < 64e6
+
+
 @pytest.fixture(scope="module")
 def marked(spark):
     rng = np.random.default_rng(3)
