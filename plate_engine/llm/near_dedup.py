@@ -16,8 +16,9 @@ by the exact multiset similarity, and links connect classes.  Bands whose member
 gone through again, with two leaders drawn by hash, each compared with the members of other classes.  What is still
 open then is done whole: in every band with several classes, all texts outside its largest class are compared with all
 members of other classes.  So every two texts that share a band and could be ``SIMILARITY`` near are in one class or were
-compared, and only a pair that shares no band can be missed.  The first turns keep the last one small: its pairs grow
-with the product of a band's largest class and the texts outside it.
+compared, and only a pair that shares no band can be missed.  No pairs are made for this: bands of one largest class are a
+group, each of its texts is sent to the group once, and there an inverted index of the runs of those outside the class
+gives the exact overlap of each with every text of the group.  Groups over ``HELD`` and ``STREAM`` are dealt in blocks.
 
 Hot keys: bands, leaders, classes and digests that hold many rows are joined by broadcast of at most
 ``HOT_SHARE`` rows (see ``hot_join``), and the texts compared with one leader are dealt in chunks of ``CHUNK``.
@@ -45,6 +46,12 @@ BANDS, ROWS = 32, 4
 COMPONENTS = BANDS * ROWS
 #: Texts that are compared with one leader in one group.
 CHUNK = 256
+#: Runs of texts outside the largest class that a task holds, and of texts that it compares with them, about.
+HELD, STREAM = 1 << 17, 1 << 19
+#: A text counts for so many runs more, so a task holds at most HELD / LEAST texts.
+LEAST = 32
+#: Common runs, and pairs of texts, that are counted at a time.
+MATCHES = 1 << 19
 #: Times that open bands, those that hold several classes, are gone through with leaders before all that is left is compared.
 TURNS = 2
 BATCH_BYTES = 2 << 20
@@ -219,6 +226,114 @@ def _verified(texts: DataFrame, pairs: DataFrame, least: float) -> DataFrame:
     return stream.mapInArrow(compare, f"a {kind}, b {kind}, near boolean")
 
 
+class _Held:
+    """Texts outside a group's largest class, by run."""
+
+    def __init__(self) -> None:
+        self.ids, self.roots, self.parts, self.sorted = [], [], [], False
+
+    def add(self, doc: np.ndarray, value: np.ndarray, count: np.ndarray, ids: list, roots: list) -> None:
+        self.parts.append((doc + len(self.ids), value, count))
+        self.ids += ids
+        self.roots += roots
+
+    def _sort(self) -> None:
+        owner, value, count = (np.concatenate(x) for x in zip(*self.parts, strict=True))
+        order = np.argsort(value, kind="stable")
+        self.owner, self.count = owner[order], count[order]
+        self.run, first = np.unique(value[order], return_index=True)
+        self.starts = np.append(first, len(order))
+        self.size = np.bincount(owner, count, len(self.ids)).astype(np.int64)
+        self.code = {r: i for i, r in enumerate(dict.fromkeys(self.roots))}
+        self.root = np.array([self.code[r] for r in self.roots])
+        self.parts, self.sorted, self.linked = [], True, set()
+
+    def near(self, doc: np.ndarray, value: np.ndarray, count: np.ndarray, ids: list, roots: list, least: float, most: int) -> Iterator[tuple]:
+        """Ids of a held text and one of ``ids`` that are ``least`` similar: one link of each held text with each other class at least."""
+        if not self.sorted:
+            self._sort()
+        n, n_held = len(ids), len(self.ids)
+        size = np.bincount(doc, count, n).astype(np.int64)
+        own = np.array([self.code.setdefault(r, len(self.code)) for r in roots])
+        at = np.minimum(np.searchsorted(self.run, value), len(self.run) - 1)
+        hit = self.run[at] == value
+        doc, at, count = doc[hit], at[hit], count[hit]
+        many = self.starts[at + 1] - self.starts[at]
+        cuts = np.searchsorted(doc, np.arange(n + 1))
+        reach = np.concatenate([[0], np.cumsum(many)])[cuts]
+        start = 0
+        while start < n:
+            stop = int(np.searchsorted(reach, reach[start] + most, side="right")) - 1
+            stop = min(n, max(start + 1, min(stop, start + most // n_held)))
+            part = slice(cuts[start], cuts[stop])
+            place = ragged(self.starts[at[part]], many[part])
+            both = np.minimum(np.repeat(count[part], many[part]), self.count[place])
+            pair = np.repeat((doc[part] - start) * n_held, many[part]) + self.owner[place]
+            both = np.bincount(pair, both, (stop - start) * n_held)
+            pair = np.flatnonzero(both)
+            row, held = pair // n_held + start, pair % n_held
+            near = (both[pair] / (size[row] + self.size[held] - both[pair]) >= least) & (own[row] != self.root[held])
+            row, held = row[near], held[near]
+            _, first = np.unique(held * len(self.code) + own[row], return_index=True)
+            for r, h in zip(row[first].tolist(), held[first].tolist(), strict=True):
+                if (h, roots[r]) not in self.linked:
+                    self.linked.add((h, roots[r]))
+                    yield self.ids[h], ids[r]
+            start = stop
+
+
+def _blocks(members: DataFrame, least: float) -> DataFrame:
+    """``g, p, q, side, k, root``: of each group and block (p, q) the texts outside the largest class g (side 0) and those to compare with them (1).
+
+    ``members``: id, size, root and band of every text and band.  A group is all open bands of one largest class.
+    """
+    sized = members.groupBy("band", "root").agg(F.count("*").alias("held"))
+    main = sized.groupBy("band").agg(F.max(F.struct("held", "root"))["root"].alias("g"), F.sum("held").alias("n"), F.count("*").alias("roots"))
+    main = stored(main.filter("roots > 1").select("band", "n", "g"), "main-classes")
+    texts = stored(hot_join(members, main, "band").select("g", "id", "size", "root").distinct(), "open-texts")
+    outside = F.when(F.col("root") != F.col("g"), F.col("size"))
+    groups = texts.groupBy("g").agg(F.count("*").alias("n"), F.min(outside).alias("lo"), F.max(outside).alias("hi"), F.sum(outside + LEAST).alias("o"), F.sum(F.col("size") + LEAST).alias("m"))
+    groups = stored(groups.select("g", "n", "lo", "hi", F.ceil(F.col("o") / HELD).cast("int").alias("ps"), F.ceil(F.col("m") / STREAM).cast("int").alias("qs")), "open-groups")
+    # A text whose size no text outside comes near to has no link.
+    texts = hot_join(texts, groups, "g").filter((F.col("size") >= F.col("lo") * least) & (F.col("size") * least <= F.col("hi")))
+    own = {x: F.pmod(F.xxhash64("id", F.lit(x)), F.col(x)).cast("int") for x in ("ps", "qs")}
+    every = {x: F.sequence(F.lit(0), F.col(x) - 1) for x in ("ps", "qs")}
+    dealt = F.array(F.struct(F.lit(0).alias("side"), F.array(own["ps"]).alias("p"), every["qs"].alias("q")), F.struct(F.lit(1).alias("side"), every["ps"].alias("p"), F.array(own["qs"]).alias("q")))
+    sides = texts.select("g", "root", F.col("id").alias("k"), F.explode(F.filter(dealt, lambda x: (x["side"] == 1) | (F.col("root") != F.col("g")))).alias("d"))
+    sides = sides.select("g", "root", "k", "d.side", F.explode("d.p").alias("p"), F.col("d.q").alias("q"))
+    return sides.select("g", "p", F.explode("q").alias("q"), "side", "k", "root")
+
+
+def _compared(texts: DataFrame, blocks: DataFrame, least: float) -> DataFrame:
+    """``a, b``: links between different classes of all texts that ``blocks`` brings together, enough to connect the classes."""
+    kind, most = texts.schema["k"].dataType.simpleString(), MATCHES
+    stream = blocks.join(texts.hint("merge"), "k").repartition("g", "p", "q").sortWithinPartitions("g", "p", "q", "side")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last, held = None, _Held()
+        for table in by_bytes(batches, "t", BATCH_BYTES):
+            doc, value, count = runs(text_array(table.column("t")))
+            ids, roots, side = (table.column(c).to_pylist() for c in ("k", "root", "side"))
+            key = list(zip(*(table.column(c).to_pylist() for c in ("g", "p", "q")), strict=True))
+            found, start = [], 0
+            while start < len(ids):
+                stop = start + 1
+                while stop < len(ids) and side[stop] == side[start] and key[stop] == key[start]:
+                    stop += 1
+                if key[start] != last:
+                    last, held = key[start], _Held()
+                a, b = np.searchsorted(doc, [start, stop])
+                some = doc[a:b] - start, value[a:b], count[a:b], ids[start:stop], roots[start:stop]
+                if not side[start]:
+                    held.add(*some)
+                elif held.ids:
+                    found += held.near(*some, least, most)
+                start = stop
+            yield pa.RecordBatch.from_arrays([pa.array([x[i] for x in found], table.schema.field("k").type) for i in (0, 1)], ["a", "b"])
+
+    return stream.mapInArrow(compare, f"a {kind}, b {kind}")
+
+
 def components(links: DataFrame, what: str = "components") -> DataFrame:
     """``id, root``: the lowest id of each connected component of ``links`` (a, b), for ids that have a link.
 
@@ -278,15 +393,6 @@ def _leaders(turn: int) -> list:
     return [F.min(ranked), F.max(ranked)]
 
 
-def _outsiders(members: DataFrame) -> DataFrame:
-    """``band, n, chunks, main, leads``: of every open band its largest class and all the texts outside that class."""
-    sized = members.groupBy("band", "root").agg(F.count("*").alias("held"))
-    main = sized.groupBy("band").agg(F.max(F.struct("held", "root"))["root"].alias("main"), F.sum("held").alias("n"), F.count("*").alias("roots"))
-    main = stored(main.filter("roots > 1").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), "main"), "main-classes")
-    outside = hot_join(members, main, "band").filter("root <> main").groupBy("band").agg(F.collect_list(F.struct("id", "size", "root")).alias("leads"))
-    return main.join(outside, "band").select("band", "n", "chunks", "main", "leads")
-
-
 def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", least: float = SIMILARITY) -> DataFrame:
     """``key, class_id, copy_of``: the lowest id of the near-duplicate class and of the exact copies, a row an id."""
     rows = _one_text_an_id(docs, key, text)
@@ -304,21 +410,19 @@ def near_classes(docs: DataFrame, key: str = "doc_id", text: str = "text", least
     texts = stored(rows.join(bands.select(F.col("id").alias("k")).hint("merge"), "k", "left_semi"), "candidate-texts")
     roots = links = None
     for turn in range(TURNS + 1):
-        whole = turn == TURNS
         members = bands.join(roots, "id", "left").withColumn("root", F.coalesce("root", "id")) if roots else bands.withColumn("root", F.col("id"))
         members = (stored(members, "members") if roots else members).select("id", "size", "c", "root", F.explode("bands").alias("band"))
-        if whole:
-            groups = stored(_outsiders(members), "open-bands")
+        if turn == TURNS:
+            near = _compared(texts, stored(_blocks(members, least), "blocks"), least)
         else:
             groups = members.groupBy("band").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi"), F.array(*_leaders(turn)).alias("leads"))
-            groups = stored(groups.filter("lo <> hi").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), F.lit(None).cast(kind).alias("main"), "leads"), "open-bands")
-        led = hot_join(members, groups, "band").select("id", "size", "root", "chunks", "main", F.explode("leads").alias("l"))
-        if whole:  # two outsiders meet once
-            led = led.filter((F.col("root") == F.col("main")) | (F.col("l.root") < F.col("root")))
-        fit = F.least("l.size", "size") >= F.greatest("l.size", "size") * least
-        pairs = led.filter(fit & (F.col("l.root") != F.col("root"))).groupBy(F.col("l.id").alias("a"), F.col("id").alias("b")).agg(F.max("chunks").alias("chunks"))
-        pairs = stored(pairs.select("a", "b", F.hash("chunks", F.pmod(F.xxhash64("b"), F.col("chunks"))).alias("chunk")), "pairs")
-        near = stored(_verified(texts, pairs, least).filter("near").select("a", "b"), "links")
+            groups = stored(groups.filter("lo <> hi").select("band", "n", F.ceil(F.col("n") / CHUNK).alias("chunks"), "leads"), "open-bands")
+            led = hot_join(members, groups, "band").select("id", "size", "root", "chunks", F.explode("leads").alias("l"))
+            fit = F.least("l.size", "size") >= F.greatest("l.size", "size") * least
+            pairs = led.filter(fit & (F.col("l.root") != F.col("root"))).groupBy(F.col("l.id").alias("a"), F.col("id").alias("b")).agg(F.max("chunks").alias("chunks"))
+            pairs = stored(pairs.select("a", "b", F.hash("chunks", F.pmod(F.xxhash64("b"), F.col("chunks"))).alias("chunk")), "pairs")
+            near = _verified(texts, pairs, least).filter("near").select("a", "b")
+        near = stored(near, "links")
         if near.take(1):
             links = links.union(near) if links else near
             roots = classes(links)

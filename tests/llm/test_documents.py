@@ -309,6 +309,34 @@ def test_what_leaders_leave_open_is_compared_whole(spark, monkeypatch):
     assert got == brute_classes(list(range(len(texts))), texts)
 
 
+@pytest.mark.parametrize("held", [1 << 17, 700])
+def test_no_pairs_are_made_of_what_is_left_open(spark, monkeypatch, held):
+    """A large family, few of it near to each other: its texts are sent to each group once, or once a block."""
+    monkeypatch.setattr(near_dedup, "HELD", held)
+    monkeypatch.setattr(near_dedup, "STREAM", 4 * held)
+    monkeypatch.setattr(near_dedup, "MATCHES", 1 << 10)
+    rng = np.random.default_rng(12)
+    base, texts = [f"w{i}" for i in range(120)], []
+    for i in range(90):
+        one = list(base)
+        for at in rng.choice(120, 3 if i % 3 else 1, replace=False):
+            one[at] = f"x{rng.integers(1 << 30)}"
+        texts.append(" ".join(one))
+    ids = list(range(len(texts)))
+    doc, value, count = near_dedup.runs(pa.array(texts))
+    # One band that all share, each text a class of its own.
+    members = spark.createDataFrame([(i, int(n), i, 7) for i, n in zip(ids, np.bincount(doc, count), strict=True)], "id long, size long, root long, band long")
+    blocks = near_dedup._blocks(members, 0.8)
+    blocks_needed = 1 if held > 700 else blocks.select("p").distinct().count()
+    assert (blocks_needed > 1) == (held == 700) and blocks.count() <= 2 * blocks_needed * len(ids)
+    links = near_dedup._compared(spark.createDataFrame(list(zip(ids, texts, strict=True)), "k long, t string"), blocks, 0.8).collect()
+    root = {i: i for i in ids}
+    for a, b in links:
+        lo, hi = sorted((root[a], root[b]))
+        root = {i: lo if r == hi else r for i, r in root.items()}
+    assert root == brute_classes(ids, texts) and 1 < len(set(root.values())) < len(ids)
+
+
 @pytest.mark.parametrize("hot", [500, 1])
 def test_classes_equal_brute_force(spark, awkward, monkeypatch, hot):
     """Also with every key of two rows or more joined by broadcast, and texts compared in chunks of two."""
