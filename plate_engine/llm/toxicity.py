@@ -45,14 +45,14 @@ STEMS = (4, 5)
 #: For sums of single-precision weights in another order.
 SLACK = 1e-9
 BINS = 20
-BATCH_BYTES = 4 << 20
+BATCH_BYTES = 2 << 20
 #: Words whose terms are counted at a time; a worker holds some 150 bytes a word then.
-PAIRED = 1 << 17
+PAIRED = 1 << 16
 #: Labelled rows to learn from, at most, of each label.
 TOXIC, OTHER = 1000, 2000
 #: Terms of the most postings, whose weights are a matrix; texts searched together, and their postings of other terms.
 FREQUENT = 1024
-TOGETHER, POSTINGS = 64, 1 << 19
+TOGETHER, POSTINGS = 64, 1 << 18
 #: Up to 1 / ENOUGH of the examples are completed one by one rather than all by the product.
 ENOUGH = 32
 #: ASCII white space, control characters and punctuation become spaces, capitals lower case.
